@@ -1,9 +1,9 @@
 """Quality rules as weak supervision.
 
 Every rule votes good (1), bad (-1) or abstains (0). Expectation-maximisation over the counts of vote
-patterns (their number depends on the rules, not on the corpus) estimates how often good documents occur and
-how often each rule votes and is right for good and for bad ones; a document is kept if the posterior
-probability that it is good reaches a threshold. Base failures are never kept.
+patterns (their number depends on the rules, not on the corpus) estimates each rule's accuracy from where the
+rules agree; a document is kept if the posterior probability that it is good reaches a threshold, so one
+doubtful rule doesn't decide alone. Base failures are never kept.
 
 Defined cases: a null text has no words and fails; texts without words never divide by 0; an empty table
 gives no rows; repeated rows get the same verdict; a very long text is counted whole.
@@ -12,6 +12,7 @@ gives no rows; repeated rows get the same verdict; a very long text is counted w
 from __future__ import annotations
 
 from collections.abc import Iterator
+from operator import eq
 
 import numpy as np
 import pyarrow as pa
@@ -22,8 +23,7 @@ from kbspark.llm.common import cut
 
 # The characters counted as symbols.
 SYMBOLS = "#*$%&|<>"
-COUNTS = ["n_words", "word_chars", "n_symbols", "n_dup_lines", "n_repeat_words", "n_lines", "n_caps", "n_stops", "n_long"]
-DROP = {ord(c): None for c in " \t\n\x0b\x0c\r"}
+COUNTS = ["n_words", "word_chars", "n_symbols", "n_dup_lines", "n_repeat_words", "n_lines", "n_caps", "n_stops", "n_tails", "n_stutters"]
 
 
 def measure(text: str | None, window: int = 5) -> tuple[int, ...]:
@@ -47,7 +47,7 @@ def measure(text: str | None, window: int = 5) -> tuple[int, ...]:
                     upto = i + window
     caps = sum(1 for w in words if len(w) > 1 and w.isupper())
     stops = sum(1 for w in words if w[-1:] in b".!?")
-    return (n, chars, sum(map(text.count, SYMBOLS)), len(lines) - len(set(lines)), repeated, len(lines), caps, stops, sum(1 for w in words if len(w) > 24))
+    return (n, chars, sum(map(text.count, SYMBOLS)), len(lines) - len(set(lines)), repeated, len(lines), caps, stops, sum(1 for w in words if w[-1:] in b"#*$%&|<>"), sum(map(eq, words, words[1:])))
 
 
 def counts(docs: DataFrame) -> DataFrame:
@@ -66,45 +66,45 @@ def share(a: str, b: str) -> Column:
 
 
 def votes() -> dict[str, Column]:
-    """Each rule: bad above (or below) a bound, good inside another, otherwise no vote."""
-
-    def rule(bad: Column, good: Column) -> Column:
-        return F.when(bad, -1).when(good, 1).otherwise(0)
-
+    """The rules. Each names one fault and votes bad where it is plain; only the last one votes good, for a
+    text that is clean in all respects. Otherwise a rule abstains, as no fault of one kind says nothing of others."""
+    bad = lambda c: F.when(c, -1).otherwise(0)
     mean = share("word_chars", "n_words")
+    clean = (
+        (share("n_symbols", "n_words") < 0.1) & (share("n_tails", "n_words") < 0.05) & (share("n_caps", "n_words") < 0.1) & (share("n_stops", "n_words") <= 0.4)
+        & (F.col("n_dup_lines") == 0) & (share("n_repeat_words", "n_words") < 0.05) & (share("n_stutters", "n_words") < 0.1) & (F.col("n_words") >= 12)
+    )
     return {
-        "symbols": rule(share("n_symbols", "n_words") > 0.4, share("n_symbols", "n_words") < 0.1),
-        "dup_lines": rule((F.col("n_dup_lines") >= 3) & (share("n_dup_lines", "n_lines") > 0.3), F.col("n_dup_lines") == 0),
-        "repeats": rule(share("n_repeat_words", "n_words") > 0.1, share("n_repeat_words", "n_words") < 0.02),
-        "capitals": rule(share("n_caps", "n_words") > 0.4, share("n_caps", "n_words") < 0.1),
-        "stops": rule(share("n_stops", "n_words") > 0.75, share("n_stops", "n_words").between(0.02, 0.4)),
-        "length": rule(F.col("n_words") < 12, F.col("n_words") >= 50),
-        "word_length": rule((mean < 2) | (mean > 14), mean.between(3, 10)),
-        "long_words": rule(share("n_long", "n_words") > 0.3, share("n_long", "n_words") < 0.1),
+        "symbols": bad(share("n_symbols", "n_words") > 0.3),
+        "symbol_tails": bad(share("n_tails", "n_words") > 0.25),
+        "capitals": bad(share("n_caps", "n_words") > 0.4),
+        "stops": bad((share("n_stops", "n_words") > 0.7) & (F.col("n_words") >= 10)),
+        "dup_lines": bad((F.col("n_dup_lines") >= 3) & (share("n_dup_lines", "n_lines") > 0.3)),
+        "repeats": bad(share("n_repeat_words", "n_words") > 0.25),
+        "stutters": bad((share("n_stutters", "n_words") > 0.25) & (F.col("n_words") >= 10)),
+        "word_length": bad((F.col("n_words") >= 10) & ((mean < 2) | (mean > 20))),
+        "clean": F.when(clean, 1).otherwise(0),
     }
 
 
-def estimate(patterns: np.ndarray, n: np.ndarray, rounds: int = 100) -> tuple[np.ndarray, np.ndarray, float]:
-    """Posterior of good by pattern, the vote tables [class, rule, vote + 1], and the prior, by EM.
+def estimate(patterns: np.ndarray, n: np.ndarray, balance: float = 0.5, rounds: int = 200) -> tuple[np.ndarray, np.ndarray]:
+    """The posterior of good by vote pattern, and each rule's accuracy, by expectation-maximisation.
 
-    Starts from majority votes, which also fixes which class is the good one; each table has a small prior
-    that rules are better than chance.
+    A rule that votes is right with its accuracy; whether it votes doesn't depend on the class. Accuracies
+    stay above chance, which fixes the class that is called good; `balance` is the share of good documents
+    before any vote.
     """
-    lean = patterns.sum(1)
-    post = 1 / (1 + np.exp(-1.5 * (lean - 1.0)))
-    trust = np.array([[0.6, 0.3, 0.1], [0.1, 0.3, 0.6]])[:, None, :] * 2.0  # bad class, then good class
-    is_vote = np.stack([patterns == v for v in (-1, 0, 1)], axis=2).astype(float)
+    right, prior = np.full(patterns.shape[1], 0.8), np.log(balance / (1 - balance))
+    post = np.full(len(n), balance)
     for _ in range(rounds):
-        weight = np.stack([1 - post, post]) * n
-        prior = (weight[1].sum() + 2) / (n.sum() + 4)
-        tables = np.einsum("cp,prv->crv", weight, is_vote) + trust
-        tables /= tables.sum(2, keepdims=True)
-        fit = np.einsum("prv,crv->pc", is_vote, np.log(tables)) + np.log([1 - prior, prior])
-        new = 1 / (1 + np.exp(np.clip(fit[:, 0] - fit[:, 1], -500, 500)))
-        if np.abs(new - post).max() < 1e-9:
+        lean = prior + patterns @ np.log(right / (1 - right))
+        new = 1 / (1 + np.exp(-np.clip(lean, -500, 500)))
+        agree = (np.where(patterns > 0, new[:, None], 1 - new[:, None]) * (patterns != 0) * n[:, None]).sum(0)
+        right = np.clip((agree + 8) / (((patterns != 0) * n[:, None]).sum(0) + 10), 0.55, 0.995)
+        done, post = np.abs(new - post).max() < 1e-12, new
+        if done:
             break
-        post = new
-    return post, tables, prior
+    return post, right
 
 
 def judge(docs: DataFrame, threshold: float = 0.5) -> DataFrame:
@@ -116,7 +116,7 @@ def judge(docs: DataFrame, threshold: float = 0.5) -> DataFrame:
     failed = (F.col("n_words") < 10) | (100 * F.col("n_repeat_words") > 20 * F.col("n_words"))
     p_good = F.lit(0.0)
     if seen:
-        post, _, _ = estimate(np.array([r[0] for r in seen]), np.array([r[1] for r in seen], float))
+        post, _ = estimate(np.array([r[0] for r in seen]), np.array([r[1] for r in seen], float))
         known = docs.sparkSession.createDataFrame([(r[0], round(float(p), 9)) for r, p in zip(seen, post, strict=True)], "__votes array<int>, p_good double")
         voted = voted.join(F.broadcast(known), "__votes")
         p_good = F.col("p_good")
