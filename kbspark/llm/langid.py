@@ -21,6 +21,8 @@ import pyarrow as pa
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
+from kbspark.llm.common import slices
+
 UND = "und"
 WORD = re.compile(r"[^\W\d_]+")
 BITS = 21  # of a code point
@@ -85,9 +87,9 @@ class Space:
 
     def bundle(self, keys: np.ndarray, counts: np.ndarray) -> np.ndarray:
         total = np.zeros(self.dim, np.float64)
-        for i in range(0, len(keys), 8192):  # a long text has many n-grams
-            part = self.take(keys[i : i + 8192]).astype(np.float32)
-            total += counts[i : i + 8192].astype(np.float32) @ part
+        for i in range(0, len(keys), 2048):  # a long text has many n-grams
+            part = self.take(keys[i : i + 2048]).astype(np.float32)
+            total += counts[i : i + 2048].astype(np.float32) @ part
         return total
 
 
@@ -105,7 +107,7 @@ def fit(docs: DataFrame, text: str = "text", lang: str = "lang", dim: int = 1024
     def partial(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         space, sums = Space(dim, n, seed), {}
         weights: dict[str, dict[int, int]] = {}
-        for b in batches:
+        for b in slices(batches):
             for t, g in zip(b.column(0).to_pylist(), b.column(1).to_pylist(), strict=True):
                 keys, counts = space.grams(t)
                 if not len(keys):
@@ -114,7 +116,7 @@ def fit(docs: DataFrame, text: str = "text", lang: str = "lang", dim: int = 1024
                 own = weights.setdefault(g, {})
                 for k, v in zip(keys.tolist(), unit.tolist(), strict=True):
                     own[k] = own.get(k, 0) + v
-                if len(own) > 200_000:
+                if len(own) > 100_000:
                     sums[g] = sums.get(g, 0) + total(space, weights.pop(g))
         for g, own in weights.items():
             sums[g] = sums.get(g, 0) + total(space, own)
@@ -144,7 +146,7 @@ def predict(docs: DataFrame, prototypes: dict[str, np.ndarray], keep: list[str],
 
     def score(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         space = Space(dim, n, seed)
-        for b in batches:
+        for b in slices(batches):
             pred, best = [], []
             for t in b.column(b.num_columns - 1).to_pylist():
                 keys, counts = space.grams(t)

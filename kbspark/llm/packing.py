@@ -16,10 +16,10 @@ sequence are cut; repeated rows are packed as often as they occur; an empty tabl
 from __future__ import annotations
 
 import os
+import unicodedata
 import zlib
 from bisect import bisect_left, insort
 from collections.abc import Iterator
-from struct import Struct
 
 import numpy as np
 import pyarrow as pa
@@ -28,50 +28,117 @@ from pyspark.sql import functions as F
 
 from kbspark.llm.common import cut
 
-#: Ids by tokenizer file and part, of the worker process that holds this module.
-SEEN: dict[str, dict[str, bytes]] = {}
-
 PIECES = "doc_id long, piece int, start long, length long, ids_crc32 long"
 
 
-def tokenize(docs: DataFrame, tokenizer: str, end_id: int = 0, max_len: int = 2048, with_ids: bool = False, remember: int = 1_000_000) -> DataFrame:
-    """Pieces of all documents: doc_id, piece, start, length, ids_crc32 (and ids, if with_ids, as bytes).
+class Encoder:
+    """Ids of whole texts, put together from those of their parts.
 
-    The tokenizer never joins text across a blank, so a text's ids are those of its blank-separated parts;
-    each worker process remembers the parts met before, up to `remember`, from one task to the next.
+    The tokenizer never joins text across a blank, nor across the pre-token borders of its own pattern, so ids
+    are remembered by blank-separated chunk and by pre-token. New pre-tokens are encoded many at a time: each
+    ends with a token that carries the end-of-word mark, which tells them apart again.
     """
 
-    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        os.environ["TOKENIZERS_PARALLELISM"] = "false"
+    def __init__(self, path: str, chunks: int = 500_000, pretokens: int = 600_000):
+        import regex
         from tokenizers import Tokenizer
 
-        from kbspark.llm.packing import SEEN
+        self.tok, self.limits = Tokenizer.from_file(path), (chunks, pretokens)
+        self.chunks: dict[str, bytes] = {"": b""}
+        self.pretokens: dict[str, bytes] = {}
+        # Fixed value: the pre-token pattern of the tokenizer's file.
+        self.split = regex.compile(r"'s|'t|'re|'ve|'m|'ll|'d|[\p{L}]+|[\p{N}]|[^\s\p{L}\p{N}]+").findall
+        vocab = self.tok.get_vocab(with_added_tokens=True)
+        self.ends = np.zeros(max(vocab.values()) + 1, bool)
+        self.ends[[i for t, i in vocab.items() if t.endswith("</w>")]] = True
+
+    def alone(self, chunk: str) -> bytes:
+        return np.array(self.tok.encode(chunk, add_special_tokens=False).ids, "<u4").tobytes()
+
+    def plain(self, chunk: str) -> list[str] | None:
+        """The chunk's pre-tokens, or None if it has what only the tokenizer itself should deal with."""
+        if "<|" in chunk:
+            return None
+        low = chunk
+        if not chunk.isascii():
+            low = unicodedata.normalize("NFC", chunk)
+            if "Σ" in low or len(low.lower()) != len(low):  # lower case that depends on neighbours or grows
+                return None
+        low = low.lower()
+        if low.isalpha():
+            return [low]
+        if low[-1] in ".,!?:;" and low[:-1].isalpha():
+            return [low[:-1], low[-1]]
+        return self.split(low)
+
+    def learn(self, new: list[str]) -> None:
+        """Remember new pre-tokens."""
+        for i in range(0, len(new), 512):
+            some = new[i : i + 512]
+            ids = np.array(self.tok.encode(" ".join(some), add_special_tokens=False).ids, "<u4")
+            cuts = np.flatnonzero(self.ends[ids]) + 1
+            if len(cuts) == len(some):
+                raw, low = ids.tobytes(), 0
+                for w, high in zip(some, (4 * cuts).tolist(), strict=True):
+                    self.pretokens[w] = raw[low:high]
+                    low = high
+            else:
+                for w in some:
+                    self.pretokens[w] = self.alone(w)
+
+    def encode(self, texts: list[str | None]) -> list[bytes]:
+        """The ids of each text as little-endian unsigned 32-bit numbers."""
+        if len(self.chunks) > self.limits[0]:
+            self.chunks = {"": b""}
+        if len(self.pretokens) > self.limits[1]:
+            self.pretokens = {}
+        rows = [(t or "").replace("\n", " ").replace("\t", " ").split(" ") for t in texts]
+        known, pre = self.chunks, self.pretokens
+        found = [list(map(known.get, parts)) for parts in rows]
+        gaps = [[i for i, v in enumerate(values) if v is None] for values in found]
+        if new := {parts[i] for parts, gap in zip(rows, gaps, strict=True) for i in gap}:
+            cut = {w: self.plain(w) for w in new}
+            self.learn(list({p for parts in cut.values() if parts for p in parts if p not in pre}))
+            for w, parts in cut.items():
+                known[w] = self.alone(w) if parts is None else b"".join([pre[p] for p in parts])
+            for parts, values, gap in zip(rows, found, gaps, strict=True):
+                for i in gap:
+                    values[i] = known[parts[i]]
+        return list(map(b"".join, found))
+
+
+#: Encoders by file, of the worker process that holds this module: they live from one task to the next.
+ENCODERS: dict[str, Encoder] = {}
+
+
+def encoder(path: str) -> Encoder:
+    os.environ["TOKENIZERS_PARALLELISM"] = "false"
+    if path not in ENCODERS:
+        ENCODERS[path] = Encoder(path)
+    return ENCODERS[path]
+
+
+def tokenize(docs: DataFrame, tokenizer: str, end_id: int = 0, max_len: int = 2048, with_ids: bool = False) -> DataFrame:
+    """Pieces of all documents: doc_id, piece, start, length, ids_crc32 (and ids, if with_ids, as bytes)."""
 
-        tok, known, tail = Tokenizer.from_file(tokenizer), SEEN.setdefault(tokenizer, {"": b""}), np.uint32(end_id).tobytes()
-        step, packers = 4 * max_len, [Struct(f"<{n}I").pack for n in range(64)]
-        for b in batches:
-            out: tuple[list, ...] = ([], [], [], [], [], [])
-            rows = [(t or "").replace("\n", " ").replace("\t", " ").split(" ") for t in b.column(1).to_pylist()]
-            for low in range(0, len(rows), 64):
-                block = rows[low : low + 64]
-                if len(known) > remember:
-                    known.clear()
-                    known[""] = b""
-                if new := list({w for parts in block for w in parts if w not in known}):
-                    for i in range(0, len(new), 4096):
-                        for w, e in zip(new[i : i + 4096], tok.encode_batch(new[i : i + 4096], add_special_tokens=False), strict=True):
-                            ids = e.ids
-                            known[w] = packers[len(ids)](*ids) if len(ids) < 64 else np.array(ids, "<u4").tobytes()
-                for i, parts in enumerate(block, low):
-                    ids = b"".join([known[w] for w in parts]) + tail
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        from kbspark.llm.packing import encoder
+
+        encode, tail, step = encoder(tokenizer).encode, np.uint32(end_id).tobytes(), 4 * max_len
+        for whole in batches:
+            for low in range(0, whole.num_rows, 128):
+                b = whole.slice(low, 128)
+                out: tuple[list, ...] = ([], [], [], [], [], [])
+                for i, ids in enumerate(encode(b.column(1).to_pylist())):
+                    ids += tail
                     for piece, at in enumerate(range(0, len(ids), step)):
                         cell = ids[at : at + step]
                         for column, v in zip(out, (i, piece, at // 4, len(cell) // 4, zlib.crc32(cell), cell if with_ids else None), strict=True):
                             column.append(v)
-            columns = [b.column(0).take(pa.array(out[0], pa.int32())), pa.array(out[1], pa.int32()), *(pa.array(c, pa.int64()) for c in out[2:5])]
-            if with_ids:
-                columns.append(pa.array(out[5], pa.binary()))
-            yield pa.RecordBatch.from_arrays(columns, ["doc_id", "piece", "start", "length", "ids_crc32", "ids"][: len(columns)])
+                columns = [b.column(0).take(pa.array(out[0], pa.int32())), pa.array(out[1], pa.int32()), *(pa.array(c, pa.int64()) for c in out[2:5])]
+                if with_ids:
+                    columns.append(pa.array(out[5], pa.binary()))
+                yield pa.RecordBatch.from_arrays(columns, ["doc_id", "piece", "start", "length", "ids_crc32", "ids"][: len(columns)])
 
     return docs.select(F.col("doc_id").cast("long"), "text").mapInArrow(run, PIECES + (", ids binary" if with_ids else ""))
 

@@ -19,7 +19,7 @@ import pyarrow as pa
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from kbspark.llm.common import cut
+from kbspark.llm.common import cut, slices
 
 # The characters counted as symbols.
 SYMBOLS = "#*$%&|<>"
@@ -54,7 +54,7 @@ def counts(docs: DataFrame) -> DataFrame:
     """doc_id and the counts of all documents."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for b in batches:
+        for b in slices(batches):
             made = np.array([measure(t) for t in b.column(1).to_pylist()], np.int64).reshape(-1, len(COUNTS))
             yield pa.RecordBatch.from_arrays([b.column(0), *(pa.array(made[:, i]) for i in range(len(COUNTS)))], ["doc_id", *COUNTS])
 
