@@ -30,6 +30,11 @@ def ratio(a: Column, b: Column) -> Column:
     return F.when(F.coalesce(b, F.lit(0.0)) == 0, F.lit(0.0)).otherwise(F.coalesce(a, F.lit(0.0)) / b)
 
 
+def money(x: Column | str) -> Column:
+    """Two places. A millionth first, so that halves of a cent, inexact in binary, round up in any order of summing."""
+    return F.round((F.col(x) if isinstance(x, str) else x) + 1e-6, 2)
+
+
 def ytd_range(ytd_end: Column, ytd_before: Column, first_month: Column) -> Column:
     """A range as a difference of year-to-date figures; one that begins in January subtracts nothing."""
     return ytd_end - F.when(first_month == 1, F.lit(0.0)).otherwise(F.coalesce(ytd_before, F.lit(0.0)))
