@@ -3,6 +3,7 @@
 from __future__ import annotations
 
 import tempfile
+import uuid
 
 from pyspark.sql import DataFrame, SparkSession
 
@@ -31,6 +32,13 @@ def shared_folder(spark: SparkSession) -> str:
     return sc._jsc.sc().getCheckpointDir().get()
 
 
+def keep(df: DataFrame, name: str = "kept") -> DataFrame:
+    """Write df as Parquet in the shared folder and read it again: like cut, but compressed and by columns."""
+    path = f"{shared_folder(df.sparkSession)}/{name}-{uuid.uuid4().hex}"
+    df.write.parquet(path)
+    return df.sparkSession.read.parquet(path)
+
+
 def cut(df: DataFrame) -> DataFrame:
     """Materialise df in the shared folder and drop its lineage; survives the loss of executors."""
     shared_folder(df.sparkSession)
