@@ -1 +1 @@
-"""Part of the library."""
+"""Structured Streaming forms of the knowledge-base loop."""
