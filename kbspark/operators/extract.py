@@ -25,7 +25,7 @@ def page_text(pages: DataFrame) -> DataFrame:
     t = F.regexp_replace(F.regexp_replace(t, r"(?i)</?(p|div|li|h[1-6]|br|tr)\b[^>]*>", "\n"), "<[^>]*>", "")
     for a, b in ENTITIES:
         t = F.replace(t, F.lit(a), F.lit(b))
-    return pages.select("page_id", F.trim(F.regexp_replace(t, r"\s*\n\s*", "\n")).alias("text"))
+    return pages.select("page_id", F.regexp_replace(F.regexp_replace(t, r"\s*\n\s*", "\n"), r"^\s+|\s+$", "").alias("text"))
 
 
 def definitions(docs: DataFrame) -> DataFrame:

@@ -157,7 +157,7 @@ def active(df: DataFrame, as_of: Column) -> DataFrame:
 
 def verify(df: DataFrame, ids: DataFrame, as_of: Column) -> DataFrame:
     marked = df.join(ids.select("record_id", F.lit(True).alias("__v")).distinct(), "record_id", "left")
-    return marked.withColumn("last_verified", F.when("__v", as_of).otherwise(F.col("last_verified"))).drop("__v")
+    return marked.withColumn("last_verified", F.when(F.col("__v"), as_of).otherwise(F.col("last_verified"))).drop("__v")
 
 
 def retire(df: DataFrame, ids: DataFrame) -> DataFrame:
