@@ -6,8 +6,8 @@ format, equal values get equal pseudonyms in all documents, and whoever has the
 are computed anew, so pseudonyms are valid too. What fails validation is left alone.
 
 Kinds: email (letters and digits of the local part), card, phone (last ten digits), ip, ssn, iban (digits
-of the account), date (three notations, between 1900-01-01 and 2100-05-02), secret (access keys, and quoted or
-bare hexadecimal values after a name such as token or password).
+of the account), date (three notations, between 1900-01-01 and 2100-05-02), secret (access keys, hexadecimal
+values after a name such as token or password, and quoted ones of 20 digits or more).
 
 Defined cases: a null text stays null; a text without matches is returned as it is; overlapping candidates
 are taken from left to right; the same row twice gives the same result twice; long texts are handled whole.
@@ -28,7 +28,7 @@ PATTERNS = {
     "ssn": r"(?<![0-9-])[0-9]{3}-[0-9]{2}-[0-9]{4}(?![0-9-])",
     "ip": rf"(?<![0-9.]){OCTET}(?:\.{OCTET}){{3}}(?![0-9]|\.[0-9])",
     "card": r"(?<![0-9])[0-9](?:[ -]?[0-9]){12,18}(?![0-9])",
-    "secret": r"(?<![A-Za-z0-9])AKIA[A-Z0-9]{16}(?![A-Za-z0-9])|(?i:token|password|passwd|secret|api[_-]?key) ?[=:] ?\"?[0-9a-f]{12,}+",
+    "secret": r"(?<![A-Za-z0-9])AKIA[A-Z0-9]{16}(?![A-Za-z0-9])|(?i:token|password|passwd|secret|api[_-]?key) ?[=:] ?\"?[0-9A-Fa-f]{12,}+|(?<=\")[0-9A-Fa-f]{20,}+(?=\")",
 }
 ANY = "|".join(f"(?:{p})" for p in PATTERNS.values())
 #: Every kind has one of these; most texts have none, and are passed on after this one scan.
@@ -72,6 +72,11 @@ def permute(s: Column, radix: int, key: str, tweak: Column) -> Column:
     return F.when(F.length(s) > 0, F.array_join(chunks, "")).otherwise(s)
 
 
+def cased(shape: Column, new: Column) -> Column:
+    """new, in capitals if shape is."""
+    return F.when(shape == F.upper(shape), F.upper(new)).otherwise(new)
+
+
 def luhn(digits: Column) -> Column:
     return F.call_function("luhn_check", digits)
 
@@ -107,7 +112,7 @@ def pseudonym(m: Column, key: str) -> Column:
 
     at = F.instr(m, "@")
     local = F.substr(m, F.lit(1), at - 1)
-    email = via(permute(F.lower(only(local, "A-Za-z0-9")), 36, key, F.lit("email")), lambda p: F.concat(refill(local, p, "[A-Za-z0-9]"), F.substr(m, at)))
+    email = via(permute(F.lower(only(local, "A-Za-z0-9")), 36, key, F.lit("email")), lambda p: F.concat(refill(local, cased(local, p), "[A-Za-z0-9]"), F.substr(m, at)))
 
     n = F.length(digits)
     checked = lambda p: F.concat(p, F.element_at(F.filter(F.array(*(F.lit(str(i)) for i in range(10))), lambda c: luhn(F.concat(p, c))), 1))
@@ -133,13 +138,13 @@ def pseudonym(m: Column, key: str) -> Column:
 
     name = F.when(m.rlike("^AKIA"), F.lit("AKIA")).otherwise(F.regexp_extract(m, r'^([^=:]*[=:] ?"?)', 1))
     body = F.substr(m, F.length(name) + 1)
-    secret = F.when(name == "AKIA", F.concat(name, F.upper(permute(F.lower(body), 36, key, F.lit("secret"))))).otherwise(F.concat(name, permute(body, 16, key, F.lit("secret"))))
+    secret = F.when(name == "AKIA", F.concat(name, F.upper(permute(F.lower(body), 36, key, F.lit("secret"))))).otherwise(F.concat(name, cased(body, permute(F.lower(body), 16, key, F.lit("secret")))))
 
     is_ = lambda kind: m.rlike(f"^(?:{PATTERNS[kind]})$")
     made = lambda kind, text: F.struct(F.lit(kind).alias("kind"), text.alias("text"))
     return (
         F.when(at > 0, made("email", email))
-        .when(m.rlike("^(?:AKIA|[A-Za-z_]+-?[A-Za-z]* ?[=:])"), made("secret", secret))
+        .when(m.rlike("^(?:AKIA|[A-Za-z_]+-?[A-Za-z]* ?[=:]|[0-9A-Fa-f]{20,}$)"), made("secret", secret))
         .when(m.rlike("^[A-Z]{2}") & iban_ok, made("iban", iban))
         .when(m.rlike("^[+(0-9]") & is_("phone"), made("phone", phone))
         .when(is_("date") & off.between(0, DAYS[0] * DAYS[1] - 1), made("date", date))
