@@ -30,13 +30,16 @@ def language(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
 
 
 def near_dedup(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """Keeps the document of smallest doc_id in each group of near-duplicates."""
-    fps = cut(simhash.fingerprints(docs.select(F.col("doc_id").cast("long").alias("doc_id"), "text"), ["doc_id"]))
+    """Keeps one document of each group of near-duplicates: that of the smallest doc_id, nulls last, then by a hash of the
+    text. A row that is there twice is kept once; different documents of one doc_id are judged apart."""
+    key = F.xxhash64(F.coalesce("text", F.lit("")))
+    rows = docs.select(F.col("doc_id").cast("long").alias("doc_id"), key.alias("key"), "text")
+    fps = cut(simhash.fingerprints(rows, ["doc_id", "key"]))
     found = fps.join(simhash.groups(fps), "fp")
-    first = found.where(F.col("doc_id").eqNullSafe(F.col("component_id"))).select(F.col("doc_id").alias("__keep")).distinct()
-    kept = docs.join(first, F.col("doc_id").cast("long").eqNullSafe(F.col("__keep")), "left_semi")
-    repeated = fps.groupBy("doc_id").agg(F.count(F.lit(1)).alias("n")).where("n > 1")
-    return kept if repeated.isEmpty() else kept.dropDuplicates(["doc_id"])
+    first = found.groupBy("root").agg(F.min(F.struct(F.col("doc_id").isNull().alias("none"), "doc_id", "key")).alias("w")).select(F.col("w.doc_id").alias("__d"), F.col("w.key").alias("__k"))
+    kept = docs.join(first, F.col("doc_id").cast("long").eqNullSafe(F.col("__d")) & (key == F.col("__k")), "left_semi")
+    repeated = fps.groupBy("doc_id", "key").agg(F.count(F.lit(1)).alias("n")).where("n > 1")
+    return kept if repeated.isEmpty() else kept.dropDuplicates(["doc_id", "text"])
 
 
 def decontaminate(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:

@@ -129,12 +129,12 @@ def links(fps: DataFrame, k: int = 3, n_pivots: int = 16, crowd: int = 48, bits_
 
 
 def groups(rows: DataFrame) -> DataFrame:
-    """fp and component_id of all distinct fingerprints of rows (columns doc_id, fp)."""
+    """fp, root (a number of the group) and component_id of all distinct fingerprints of rows (columns doc_id, fp)."""
     items = cut(rows.groupBy("fp").agg(F.min("doc_id").alias("least")))
     found = components(links(items).select(F.col("a").alias("u"), F.col("b").alias("v")))
     rooted = items.join(found.withColumnRenamed("node", "fp"), "fp", "left").select("fp", "least", F.coalesce("root", "fp").alias("root"))
     least = rooted.groupBy("root").agg(F.min("least").alias("component_id"))
-    return rooted.join(least, "root").select("fp", "component_id")
+    return rooted.join(least, "root").select("fp", "root", "component_id")
 
 
 def near_duplicates(docs: DataFrame) -> DataFrame:
