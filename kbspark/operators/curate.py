@@ -41,10 +41,10 @@ def quality(judged: list[Column], tokens: Column) -> Column:
 
 def normalise(df: DataFrame, score: str) -> DataFrame:
     """Adds z and shaped: scores on a normal scale of mean 5 and deviation 2, cut to 0..10."""
-    m = df.agg(F.avg(score).alias("m"), F.stddev_pop(score).alias("s"))
-    z = (F.col(score) - F.col("m")) / F.when(F.col("s") == 0, 1.0).otherwise(F.col("s"))
+    m = df.agg(F.avg(score).alias("__m"), F.stddev_pop(score).alias("__s"))
+    z = (F.col(score) - F.col("__m")) / F.when(F.col("__s") == 0, 1.0).otherwise(F.col("__s"))
     out = df.join(F.broadcast(m)).withColumn("z", z)
-    return out.withColumn("shaped", F.greatest(F.lit(0.0), F.least(F.lit(10.0), 5 + 2 * F.col("z")))).drop("m", "s")
+    return out.withColumn("shaped", F.greatest(F.lit(0.0), F.least(F.lit(10.0), 5 + 2 * F.col("z")))).drop("__m", "__s")
 
 
 def variety_freq(df: DataFrame, keys: list[str]) -> DataFrame:
