@@ -12,7 +12,9 @@ import pandas as pd
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
+from kbspark.operators.components import components as connected
 from kbspark.operators.measure import weights
+from kbspark.session import cut
 
 
 def assignment(w: np.ndarray) -> float:
@@ -113,18 +115,38 @@ def best_ordered(i: np.ndarray, j: np.ndarray, w: np.ndarray) -> float:
     return upto(len(js))
 
 
-def score(pred: DataFrame, gold: DataFrame, ordered: bool | None = False, beta: float = 2.0) -> DataFrame:
-    """case and score for all cases that either side has. Both empty can't occur here: such a case has no row and is 1
-    by definition of the caller."""
+def by_component(pairs: DataFrame) -> DataFrame:
+    """pairs with part: the connected component of each pair's case, found by distributed rounds."""
+    node = lambda side, n: F.xxhash64("case", F.lit(side), n)
+    ends = pairs.withColumn("u", node("p", F.col("i"))).withColumn("v", node("g", F.col("j")))
+    return ends.join(connected(ends.select("u", "v")).select(F.col("node").alias("u"), F.col("root").alias("part")), "u").drop("u", "v")
+
+
+def score(pred: DataFrame, gold: DataFrame, ordered: bool | None = False, beta: float = 2.0, large: int = 200_000) -> DataFrame:
+    """case and score for all cases that either side has; a case that neither has is empty on both sides, 1 by definition.
+
+    A case's pairs are solved in one task up to `large` of them; beyond that (unordered) each connected component
+    of the case is a task of its own, as the assignment splits along components.
+    """
     pairs = weights(pred, gold, beta)
     best = best_ordered if ordered else best_unordered
+    kind = dict(pred.dtypes)["case"]
 
     def run(pdf: pd.DataFrame) -> pd.DataFrame:
         total = best(pdf["i"].to_numpy(), pdf["j"].to_numpy(), pdf["weight"].to_numpy())
         return pd.DataFrame({"case": [pdf["case"].iloc[0]], "total": [total]})
 
-    kind = dict(pred.dtypes)["case"]
-    totals = pairs.groupBy("case").applyInPandas(run, f"case {kind}, total double")
+    schema = f"case {kind}, total double"
+    if ordered:
+        totals = pairs.groupBy("case").applyInPandas(run, schema)
+    else:
+        pairs = cut(pairs)
+        sizes = pairs.groupBy("case").agg(F.count(F.lit(1)).alias("n"))
+        big = sizes.where(F.col("n") > large).select("case")
+        totals = pairs.join(big, "case", "left_anti").groupBy("case").applyInPandas(run, schema)
+        if not big.isEmpty():
+            parts = by_component(pairs.join(big, "case", "left_semi")).groupBy("case", "part").applyInPandas(run, schema)
+            totals = totals.union(parts.groupBy("case").agg(F.sum("total").alias("total")))
     n = lambda df, name: df.groupBy("case").agg(F.count(F.lit(1)).alias(name))
     rows = n(pred, "np").join(n(gold, "ng"), "case", "full")
     return rows.join(totals, "case", "left").select("case", F.round(F.coalesce("total", F.lit(0.0)) / F.greatest(F.coalesce("np", F.lit(0)), F.coalesce("ng", F.lit(0))), 6).alias("score"))

@@ -69,6 +69,14 @@ def test_scores(spark):
     assert s([(*r, "new") for r in g], g) == round(10 / 11, 6)
 
 
+def test_components_give_the_same_score(spark):
+    rng = np.random.default_rng(4)
+    mk = lambda seed: spark.createDataFrame([(c, i, [str(x) for x in rng.integers(0, 60, 2)]) for c in "ab" for i in range(40)], "case string, row_no long, cells array<string>")
+    p, g = mk(1), mk(2)
+    rows = lambda df: sorted(map(tuple, df.collect()))
+    assert rows(rowmatch.score(p, g)) == rows(rowmatch.score(p, g, large=10))
+
+
 def test_cascade_and_vote(spark):
     mk = lambda rows: spark.createDataFrame([(1, t, n, "error" if x == "E" else "ok", None if x == "E" else x, 10) for t, n, x in rows], "q_id long, tier int, sample_no int, status string, fp string, latency_ms long")
     assert serve.vote(mk([(1, i, x) for i, x in enumerate("aabEbb")])).first()[1:] == ("b", 3)
