@@ -24,7 +24,7 @@ from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
 from kbspark.llm.common import cut, slices
-from kbspark.llm.components import components
+from kbspark.operators.components import components
 
 
 def fingerprint(text: str | None, size: int = 3) -> int:
