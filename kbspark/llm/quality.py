@@ -19,35 +19,59 @@ import pyarrow as pa
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from kbspark.llm.common import cut, slices
+from kbspark.llm.common import BLANKS, cut, slices
 
 # The characters counted as symbols.
 SYMBOLS = "#*$%&|<>"
 COUNTS = ["n_words", "word_chars", "n_symbols", "n_dup_lines", "n_repeat_words", "n_lines", "n_caps", "n_stops", "n_tails", "n_stutters"]
 
 
+LONG = 20_000  # words; longer texts are counted by arrays of numbers
+
+
+def repeated_words(words: list[bytes], window: int) -> int:
+    """Words in windows of words that are found twice or more."""
+    grams = list(zip(*(words[i:] for i in range(window)), strict=False))
+    if len(set(grams)) == len(grams):
+        return 0
+    seen: dict[tuple, int] = {}
+    for g in grams:
+        seen[g] = seen.get(g, 0) + 1
+    repeated = upto = 0  # words before upto are counted
+    for i, g in enumerate(grams):
+        if seen[g] > 1:
+            repeated += i + window - max(i, upto)
+            upto = i + window
+    return repeated
+
+
+def repeated_words_long(words: list[bytes], window: int) -> int:
+    """The same count in a few arrays of the text's length: windows are numbered exactly, a word at a time."""
+    number: dict[bytes, int] = {}
+    ids = np.fromiter((number.setdefault(w, len(number)) for w in words), np.int64, len(words))
+    m = len(words) - window + 1
+    code = ids[:m]
+    for k in range(1, window):
+        code = np.unique(code * len(number) + ids[k : k + m], return_inverse=True)[1]
+    hit = np.bincount(code)[code] > 1
+    edge = np.zeros(len(words) + 1, np.int64)
+    np.add.at(edge, np.flatnonzero(hit), 1)
+    np.add.at(edge, np.flatnonzero(hit) + window, -1)
+    return int((np.cumsum(edge[:-1]) > 0).sum())
+
+
 def measure(text: str | None, window: int = 5) -> tuple[int, ...]:
     """The counts of one text, in the order of COUNTS."""
     text = text or ""
     words = text.encode("utf-8", "surrogatepass").split()
     n = len(words)
-    chars = len(text) - sum(map(text.count, " \t\n\x0b\x0c\r"))
-    lines = [line for line in text.split("\n") if line.strip(" \t\x0b\x0c\r")]
-    repeated = 0
-    if n >= window:
-        grams = list(zip(*(words[i:] for i in range(window)), strict=False))
-        if len(set(grams)) < len(grams):
-            seen: dict[tuple, int] = {}
-            for g in grams:
-                seen[g] = seen.get(g, 0) + 1
-            upto = 0  # words before this place are counted
-            for i, g in enumerate(grams):
-                if seen[g] > 1:
-                    repeated += i + window - max(i, upto)
-                    upto = i + window
+    chars = len(text) - sum(map(text.count, BLANKS))
+    lines = [line for line in text.split("\n") if line.strip(BLANKS)]
+    repeated = 0 if n < window else (repeated_words if n < LONG else repeated_words_long)(words, window)
     caps = sum(1 for w in words if len(w) > 1 and w.isupper())
     stops = sum(1 for w in words if w[-1:] in b".!?")
-    return (n, chars, sum(map(text.count, SYMBOLS)), len(lines) - len(set(lines)), repeated, len(lines), caps, stops, sum(1 for w in words if w[-1:] in b"#*$%&|<>"), sum(map(eq, words, words[1:])))
+    tails = sum(1 for w in words if w[-1:] in b"#*$%&|<>")
+    return (n, chars, sum(map(text.count, SYMBOLS)), len(lines) - len(set(lines)), repeated, len(lines), caps, stops, tails, sum(map(eq, words, words[1:])))
 
 
 def counts(docs: DataFrame) -> DataFrame:

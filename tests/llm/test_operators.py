@@ -287,6 +287,15 @@ def test_quality(spark, sf):
     assert len(quality.judge(docs_of(spark, ODD)).collect()) == len(ODD) and quality.judge(docs_of(spark, [])).collect() == []
 
 
+def test_quality_long_texts():
+    rng = np.random.default_rng(2)
+    for words in (10, 40, 3):
+        w = [f"w{i}".encode() for i in rng.integers(0, words, 400)]
+        assert quality.repeated_words(w, 5) == quality.repeated_words_long(w, 5) == brute_quality(b" ".join(w).decode())[4]
+    w = [f"w{i}".encode() for i in range(300)]
+    assert quality.repeated_words(w, 5) == quality.repeated_words_long(w, 5) == 0
+
+
 # 8: personal data
 def luhn(d):
     s = sum(sum(divmod(2 * int(c), 10)) if i % 2 else int(c) for i, c in enumerate(reversed(d)))
