@@ -28,9 +28,19 @@ def containment(keywords: DataFrame, values: DataFrame, n: int = 3) -> DataFrame
     return hits.join(need, "keyword").select("keyword", "value", F.round(F.col("n") / F.col("need"), 6).alias("score"))
 
 
+MAX_KEYWORDS = 100_000
+
+
+def query_set(keywords: DataFrame) -> DataFrame:
+    """The keywords as a broadcast side, after a check that they are a query set."""
+    if keywords.limit(MAX_KEYWORDS + 1).count() > MAX_KEYWORDS:
+        raise ValueError(f"more than {MAX_KEYWORDS} keywords: give them in blocks")
+    return F.broadcast(keywords)
+
+
 def edit(keywords: DataFrame, values: DataFrame) -> DataFrame:
     """Baseline: negated edit distance over all pairs. The keywords are a query set and are broadcast."""
-    return values.join(F.broadcast(keywords)).select("keyword", "value", (-F.levenshtein("keyword", F.lower("value"))).alias("score"))
+    return values.join(query_set(keywords)).select("keyword", "value", (-F.levenshtein("keyword", F.lower("value"))).alias("score"))
 
 
 def encode(df: DataFrame, column: str, keep: list[str], dim: int = 256, n: int = 3) -> DataFrame:
@@ -60,7 +70,7 @@ def dot(a: str, b: str) -> Column:
 def semantic(keywords: DataFrame, values: DataFrame) -> DataFrame:
     """Cosine of hashed vectors: each block of values against the broadcast query set."""
     k, v = encode(keywords, "keyword", ["keyword"]), encode(values, "value", ["value"])
-    return v.join(F.broadcast(k.withColumnRenamed("vec", "kvec"))).select("keyword", "value", F.round(dot("vec", "kvec"), 6).alias("score"))
+    return v.join(query_set(k.withColumnRenamed("vec", "kvec"))).select("keyword", "value", F.round(dot("vec", "kvec"), 6).alias("score"))
 
 
 def combined(keywords: DataFrame, values: DataFrame, weight: float = 0.5) -> DataFrame:
