@@ -39,5 +39,32 @@ FROM e GROUP BY conv_id
 """
 
 
+def _norm(x: str) -> str:
+    bare = f"regexp_replace(lower({x}), '(?m)^\\s*(?:copyright|\\(c\\)|©).*$', ' ', 'g')"
+    return f"list_filter(string_split(regexp_replace({bare}, '[^\\p{{L}}\\p{{N}}]+', ' ', 'g'), ' '), lambda x: x <> '')"
+
+
+def _op2() -> str:
+    from kbspark.llm.licenses import TEMPLATES
+
+    rows = ", ".join("({}, '{}', '{}')".format(i, name, text.replace("'", "''")) for i, (name, text) in enumerate(TEMPLATES))
+    grams = "list_distinct(list_transform(range(1, len(w)), lambda i: w[i] || ' ' || w[i + 1]))"
+    return f"""
+WITH tpl(template, license, body) AS (VALUES {rows}),
+tg AS (SELECT template, license, {grams} AS g FROM (SELECT template, license, {_norm('body')} AS w FROM tpl)),
+d AS (SELECT doc_id, coalesce(text, '') AS text FROM documents),
+li AS (SELECT doc_id, text, string_split(text, chr(10)) AS xs FROM d),
+pa AS (SELECT doc_id, string_split_regex(text, '\\n[ \\t]*\\n') AS xs FROM d),
+units AS (SELECT doc_id, 'line' AS unit, unnest(range(0, len(xs))) AS unit_no, unnest(xs) AS body FROM li WHERE len(xs) > 1
+  UNION ALL SELECT doc_id, 'paragraph', unnest(range(0, len(xs))), unnest(xs) FROM pa WHERE len(xs) > 1
+  UNION ALL SELECT doc_id, 'text', 0, text FROM d),
+ug AS (SELECT doc_id, unit, unit_no, {grams} AS g FROM (SELECT doc_id, unit, unit_no, {_norm('body')} AS w FROM units)),
+sc AS (SELECT doc_id, unit, unit_no, template, license, len(tg.g) AS b, round(2.0 * len(list_intersect(ug.g, tg.g)) / (len(ug.g) + len(tg.g)), 6) AS dice FROM ug, tg WHERE len(ug.g) BETWEEN len(tg.g) * 0.6 AND len(tg.g) * 1.6),
+ok AS (SELECT *, row_number() OVER (PARTITION BY doc_id ORDER BY dice DESC, b DESC, template, unit_no, unit DESC) AS r FROM sc WHERE dice >= 0.8),
+n AS (SELECT doc_id, count(DISTINCT (unit, unit_no)) AS n FROM ok GROUP BY doc_id)
+SELECT d.doc_id, license, dice, unit, CAST(unit_no AS INT) AS unit_no, coalesce(n.n, 0) AS n_matches FROM d LEFT JOIN ok ON ok.doc_id = d.doc_id AND r = 1 LEFT JOIN n ON n.doc_id = d.doc_id
+"""
+
+
 def oracle_sql() -> dict[str, str]:
-    return {"op4_chat_format": OP4, "op9_decontamination": OP9, "op10_url_filter": OP10}
+    return {"op2_license_scan": _op2(), "op4_chat_format": OP4, "op9_decontamination": OP9, "op10_url_filter": OP10}
