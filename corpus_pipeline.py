@@ -21,10 +21,10 @@ MIN_SCORE = 0.05  # a text less like every language than this is rejected
 
 def language(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """Keeps documents whose language can be told; learns from those that say theirs."""
-    # Kept columns travel as they are beside the text that is judged.
+    # Under names of their own, so that no column of docs can clash with what is added.
     train = docs.where(~langid.held_out(F.col("doc_id")) & F.col("lang").isNotNull())
     keep = [F.col(c).alias(f"__c{i}") for i, c in enumerate(docs.columns)]
-    judged = langid.predict(docs.select(*keep, F.col("text").alias("__judged")), langid.fit(train), [f"__c{i}" for i in range(len(docs.columns))], text="__judged")
+    judged = langid.predict(docs.select(*keep), langid.fit(train), [f"__c{i}" for i in range(len(docs.columns))], text=f"__c{docs.columns.index('text')}")
     kept = judged.where((F.col("lang_pred") != langid.UND) & (F.col("score") >= MIN_SCORE))
     return kept.select(*(F.col(f"__c{i}").alias(c) for i, c in enumerate(docs.columns)))
 

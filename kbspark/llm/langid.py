@@ -20,6 +20,7 @@ import numpy as np
 import pyarrow as pa
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
+from pyspark.sql import types as T
 
 from kbspark.llm.common import slices
 
@@ -35,11 +36,11 @@ class Space:
     def __init__(self, dim: int, n: int, seed: int, keep: int = 65_536):
         self.dim, self.n, self.seed, self.keep = dim, n, seed, keep
         self.letters: dict[int, np.ndarray] = {}
+        self.vectors = np.empty((keep, dim), np.int8)  # filled from the top; keys are kept sorted beside it
         self.clear()
 
     def clear(self) -> None:
-        self.keys = np.empty(0, np.int64)
-        self.vectors = np.empty((0, self.dim), np.int8)
+        self.keys, self.at, self.used = np.empty(0, np.int64), np.empty(0, np.int64), 0
 
     def letter(self, code: int) -> np.ndarray:
         if code not in self.letters:
@@ -62,24 +63,26 @@ class Space:
         return np.unique(key, return_counts=True)
 
     def rows(self, keys: np.ndarray) -> np.ndarray:
-        """Places in self.vectors of the sorted keys."""
-        at = np.searchsorted(self.keys, keys)
-        known = (at < len(self.keys)) & (self.keys[np.minimum(at, len(self.keys) - 1)] == keys) if len(self.keys) else np.zeros(len(keys), bool)
+        """Places in self.vectors of the sorted keys (fewer than are kept)."""
+        i = np.searchsorted(self.keys, keys)
+        known = (i < len(self.keys)) & (self.keys[np.minimum(i, len(self.keys) - 1)] == keys) if len(self.keys) else np.zeros(len(keys), bool)
         if not known.all():
-            if len(self.keys) + len(keys) > self.keep:
+            if self.used + len(keys) > self.keep:
                 self.clear()
                 known[:] = False
             new = keys[~known]
-            made = np.ones((len(new), self.dim), np.int8)
+            made = self.vectors[self.used : self.used + len(new)]
+            made[:] = 1
             for place in range(self.n):
                 codes, where = np.unique((new >> (BITS * (self.n - 1 - place))) & MASK, return_inverse=True)
                 turned = np.stack([np.roll(self.letter(int(c)), self.n - 1 - place) for c in codes])
                 made *= turned[where]
             both = np.concatenate([self.keys, new])
             order = np.argsort(both, kind="stable")
-            self.keys, self.vectors = both[order], np.concatenate([self.vectors, made])[order]
-            at = np.searchsorted(self.keys, keys)
-        return at
+            self.keys, self.at = both[order], np.concatenate([self.at, np.arange(self.used, self.used + len(new))])[order]
+            self.used += len(new)
+            i = np.searchsorted(self.keys, keys)
+        return self.at[i]
 
     def take(self, keys: np.ndarray) -> np.ndarray:
         at = self.rows(keys)
@@ -140,7 +143,12 @@ def fit(docs: DataFrame, text: str = "text", lang: str = "lang", dim: int = 1024
 
 
 def predict(docs: DataFrame, prototypes: dict[str, np.ndarray], keep: list[str], text: str = "text", dim: int = 1024, n: int = 3, seed: int = 7) -> DataFrame:
-    """The columns in keep, lang_pred and score: the cosine with the best prototype, at least 0."""
+    """The columns in keep, lang_pred and score: the cosine with the best prototype, at least 0.
+
+    The text travels once, whether it is kept or not.
+    """
+    sent = list(keep) if text in keep else [*keep, text]
+    at, n_kept = sent.index(text), len(keep)
     names = sorted(prototypes)
     matrix = np.stack([prototypes[g] / (np.linalg.norm(prototypes[g]) or 1) for g in names]) if names else np.zeros((0, dim))
 
@@ -148,7 +156,7 @@ def predict(docs: DataFrame, prototypes: dict[str, np.ndarray], keep: list[str],
         space = Space(dim, n, seed)
         for b in slices(batches):
             pred, best = [], []
-            for t in b.column(b.num_columns - 1).to_pylist():
+            for t in b.column(at).to_pylist():
                 keys, counts = space.grams(t)
                 if len(keys) and names:
                     v = space.bundle(keys, counts)
@@ -159,11 +167,10 @@ def predict(docs: DataFrame, prototypes: dict[str, np.ndarray], keep: list[str],
                 else:
                     pred.append(UND)
                     best.append(0.0)
-            yield pa.RecordBatch.from_arrays([*b.columns[:-1], pa.array(pred, pa.string()), pa.array(best, pa.float64())], [*b.schema.names[:-1], "lang_pred", "score"])
+            yield pa.RecordBatch.from_arrays([*b.columns[:n_kept], pa.array(pred, pa.string()), pa.array(best, pa.float64())], [*b.schema.names[:n_kept], "lang_pred", "score"])
 
-    rows = docs.select(*keep, F.col(text).alias("__text"))
-    kinds = ", ".join(f"`{f.name}` {f.dataType.simpleString()}" for f in rows.schema.fields[:-1])
-    return rows.mapInArrow(score, f"{kinds}, lang_pred string, score double")
+    rows = docs.select(*sent)
+    return rows.mapInArrow(score, T.StructType([*rows.schema.fields[:n_kept], T.StructField("lang_pred", T.StringType()), T.StructField("score", T.DoubleType())]))
 
 
 def identify(docs: DataFrame, max_train: int = 200_000, dim: int = 1024) -> DataFrame:
