@@ -40,7 +40,7 @@ class Encoder:
     ends with a token that carries the end-of-word mark, which tells them apart again.
     """
 
-    def __init__(self, path: str, chunks: int = 500_000, pretokens: int = 900_000):
+    def __init__(self, path: str, chunks: int = 500_000, pretokens: int = 700_000):
         import regex
         from tokenizers import Tokenizer
 
@@ -72,8 +72,9 @@ class Encoder:
             return [low[:-1], low[-1]]
         return self.split(low)
 
-    def learn(self, new: list[str]) -> None:
-        """Remember new pre-tokens."""
+    def learn(self, new: list[str]) -> dict[str, bytes]:
+        """The ids of new pre-tokens."""
+        learnt: dict[str, bytes] = {}
         for i in range(0, len(new), 512):
             some = new[i : i + 512]
             ids = np.array(self.tok.encode(" ".join(some), add_special_tokens=False).ids, "<u4")
@@ -81,11 +82,12 @@ class Encoder:
             if len(cuts) == len(some):
                 raw, low = ids.tobytes(), 0
                 for w, high in zip(some, (4 * cuts).tolist(), strict=True):
-                    self.pretokens[w] = raw[low:high]
+                    learnt[w] = raw[low:high]
                     low = high
             else:
                 for w in some:
-                    self.pretokens[w] = self.alone(w)
+                    learnt[w] = self.alone(w)
+        return learnt
 
     @staticmethod
     def cut(text: str) -> list[str]:
@@ -96,22 +98,24 @@ class Encoder:
 
     def encode(self, texts: list[str | None]) -> list[bytes]:
         """The ids of each text as little-endian unsigned 32-bit numbers."""
-        if len(self.chunks) > self.limits[0]:
-            self.chunks = {"": b""}
-        if len(self.pretokens) > self.limits[1]:
-            self.pretokens = {}
         rows = [self.cut(t) if t else [] for t in texts]
         known, pre = self.chunks, self.pretokens
         found = [list(map(known.get, parts)) for parts in rows]
         gaps = [[i for i, v in enumerate(values) if v is None] for values in found]
         if new := {parts[i] for parts, gap in zip(rows, gaps, strict=True) for i in gap}:
             cut = {w: self.plain(w) for w in new}
-            self.learn(list({p for parts in cut.values() if parts for p in parts if p not in pre}))
+            fresh = self.learn(list({p for parts in cut.values() if parts for p in parts if p not in pre}))
+            made = {}
             for w, parts in cut.items():
-                known[w] = self.alone(w) if parts is None else b"".join([pre[p] for p in parts])
+                made[w] = self.alone(w) if parts is None else b"".join([pre[p] if p in pre else fresh[p] for p in parts])
             for parts, values, gap in zip(rows, found, gaps, strict=True):
                 for i in gap:
-                    values[i] = known[parts[i]]
+                    values[i] = made[parts[i]]
+            # Full memories stay as they are: what is frequent came early.
+            if len(known) < self.limits[0]:
+                known.update(made)
+            if len(pre) < self.limits[1]:
+                pre.update(fresh)
         return list(map(b"".join, found))
 
 
