@@ -110,7 +110,14 @@ def hilbert_shards(docs: DataFrame, shards: int = 8, bits: int = 9) -> DataFrame
     return out.select("doc_id", "size", "text_crc32", "hilbert", rank.alias("rank"), "shard", (rank - start).cast("long").alias("slot"))
 
 
-def write_shards(sharded: DataFrame, docs: DataFrame, path: str) -> None:
-    """The documents as Parquet, a folder a shard, sorted along the curve within."""
-    placed = docs.join(sharded.select("doc_id", "hilbert", "shard", "slot"), "doc_id")
-    placed.repartition("shard", F.floor(F.col("slot") / 100_000)).sortWithinPartitions("shard", "slot").write.partitionBy("shard").parquet(path)
+def write_shards(sharded: DataFrame, docs: DataFrame, path: str, name: str = "shard", file_rows: int = 100_000) -> None:
+    """The documents as Parquet, a folder a shard (called name=0 and so on), in files of neighbours along the curve.
+
+    docs keeps its columns, so name may not be one of them; doc_id must tell its rows apart.
+    """
+    if name in docs.columns:
+        raise ValueError(f"documents have a column {name}: choose another name")
+    at = sharded.select(F.col("doc_id").alias("__d"), F.col("shard").alias(name), F.col("slot").alias("__slot"))
+    placed = docs.join(at, F.col("doc_id").cast("long") == F.col("__d")).withColumn("__file", F.floor(F.col("__slot") / file_rows))
+    dealt = placed.repartition(name, "__file").sortWithinPartitions(name, "__file", "__slot")
+    dealt.drop("__d", "__slot", "__file").write.partitionBy(name).parquet(path)

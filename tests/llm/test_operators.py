@@ -193,6 +193,16 @@ def test_sharding(spark, sf):
     assert sharding.hilbert_shards(docs_of(spark, [])).collect() == []
 
 
+def test_written_shards(spark, sf, tmp_path):
+    docs = table(spark, sf, "documents")
+    sharding.write_shards(sharding.hilbert_shards(docs, shards=4), docs, str(tmp_path / "out"))
+    back = spark.read.parquet(str(tmp_path / "out"))
+    assert sorted(back.columns) == sorted([*docs.columns, "shard"]) and back.select("shard").distinct().count() == 4
+    assert sorted(map(tuple, back.select(docs.columns).collect())) == sorted(map(tuple, docs.collect()))
+    with pytest.raises(ValueError):
+        sharding.write_shards(sharding.hilbert_shards(back), back, str(tmp_path / "again"))
+
+
 @pytest.mark.parametrize("d,bits", [(2, 4), (3, 3), (4, 2)])
 def test_hilbert_neighbours(spark, d, bits):
     from pyspark.sql import functions as F
