@@ -11,7 +11,7 @@ import uuid
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from kbspark.llm import decontam, langid, packing, pii, simhash
+from kbspark.llm import decontam, langid, overlap, packing, pii
 from kbspark.llm.common import cut, table
 from kbspark.llm.queries import tokenizer_path
 from kbspark.session import shared_folder
@@ -30,15 +30,16 @@ def language(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
 
 
 def near_dedup(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """Keeps one document of each group of near-duplicates: that of the smallest doc_id, nulls last, then by a hash of the
-    text. A row that is there twice is kept once; different documents of one doc_id are judged apart."""
+    """Keeps one document of each group of near-duplicates, linked from a Jaccard similarity of 0.8 of their five-word
+    shingles: that of the smallest doc_id, nulls last, then by a hash of the text. A row that is there twice is kept
+    once; different documents of one doc_id are judged apart."""
     key = F.xxhash64(F.coalesce("text", F.lit("")))
     rows = docs.select(F.col("doc_id").cast("long").alias("doc_id"), key.alias("key"), "text")
-    fps = cut(simhash.fingerprints(rows, ["doc_id", "key"]))
-    found = fps.join(simhash.groups(fps), "fp")
+    marked = cut(overlap.marked(rows))
+    found = marked.select("doc_id", "key", "item").join(overlap.groups(marked, rows), "item")
     first = found.groupBy("root").agg(F.min(F.struct(F.col("doc_id").isNull().alias("none"), "doc_id", "key")).alias("w")).select(F.col("w.doc_id").alias("__d"), F.col("w.key").alias("__k"))
     kept = docs.join(first, F.col("doc_id").cast("long").eqNullSafe(F.col("__d")) & (key == F.col("__k")), "left_semi")
-    repeated = fps.groupBy("doc_id", "key").agg(F.count(F.lit(1)).alias("n")).where("n > 1")
+    repeated = marked.groupBy("doc_id", "key").agg(F.count(F.lit(1)).alias("n")).where("n > 1")
     return kept if repeated.isEmpty() else kept.dropDuplicates(["doc_id", "text"])
 
 

@@ -8,6 +8,7 @@ from collections import Counter, defaultdict
 import numpy as np
 import pytest
 import xxhash
+from pyspark.sql import functions as F
 
 from kbspark.llm import chat, decontam, langid, licenses, packing, pii, quality, queries, sharding, simhash, urls
 from kbspark.llm.common import table
@@ -439,3 +440,48 @@ def test_nulls_and_repeats(spark):
     kept = corpus_pipeline.near_dedup(spark, docs, "").collect()
     assert sorted((r["doc_id"] or -1, (r["text"] or "")[:7]) for r in kept if (r["text"] or "")[:4] != "some") == [(-1, "another"), (2, ""), (2, "two tex")]
     assert sum((r["text"] or "").startswith("some") for r in kept) in (1, 2)
+
+
+def test_pipeline_near_copies_by_jaccard(spark):
+    """All pairs at 0.8 or more of five-word shingles are linked, against brute force, also in crowds; no others are."""
+    import corpus_pipeline
+    from kbspark.llm import overlap
+
+    rng = np.random.default_rng(5)
+    word = lambda: f"w{rng.integers(0, 3000)}"
+    texts = [None, "", "two words", "two  Words", "a b c d", "a b c d e"]
+    for size in (20, 60, 120, 300):
+        base = [word() for _ in range(size)]
+        for edits in range(12):
+            t = list(base)
+            for i in rng.integers(0, size, edits):
+                t[i] = word()
+            texts.append(" ".join(t))
+    base = [word() for _ in range(100)]
+    texts += [" ".join(base[:i] + [word()] + base[i + 1 :]) for i in range(60)]  # near the first words as any: a crowd
+    common = [word() for _ in range(12)]
+    texts += [" ".join(common + [word() for _ in range(20)]) for _ in range(50)]
+
+    def brute(t):
+        ws = (t or "").lower().split()
+        return {tuple(ws[i : i + 5]) for i in range(max(1, len(ws) - 4))}
+
+    sets = [brute(t) for t in texts]
+    root = list(range(len(texts)))
+    for i in range(len(texts)):
+        for j in range(i):
+            if 5 * len(sets[i] & sets[j]) >= 4 * len(sets[i] | sets[j]) and root[i] != root[j]:
+                a, b = root[i], root[j]
+                root = [min(a, b) if r in (a, b) else r for r in root]
+    docs = docs_of(spark, texts)
+    assert {r["doc_id"] for r in corpus_pipeline.near_dedup(spark, docs, "").collect()} == set(root)
+    rows = docs.select("doc_id", F.xxhash64(F.coalesce("text", F.lit(""))).alias("key"), "text")
+    marked = overlap.marked(rows).cache()
+    want = {d: r for d, r in enumerate(root)}
+    for crowd in (2, 1000):
+        found = overlap.components(overlap.links(marked, rows, crowd=crowd)).withColumnRenamed("node", "item")
+        got = {r["doc_id"]: r["r"] for r in marked.join(found, "item", "left").select("doc_id", F.coalesce("root", "item").alias("r")).collect()}
+        least = {}
+        for d in sorted(got):
+            least.setdefault(got[d], d)
+        assert {d: least[got[d]] for d in got} == want
