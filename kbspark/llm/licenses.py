@@ -13,6 +13,9 @@ many units matched; repeated rows are reported as often as they occur.
 
 from __future__ import annotations
 
+from fractions import Fraction
+from math import ceil, floor
+
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
@@ -53,8 +56,9 @@ def templates_frame(spark: SparkSession, templates: list[tuple[str, str]] | None
 
 
 def bounds(b: int, t: float) -> tuple[int, int]:
-    low, high = b * t / (2 - t), b * (2 - t) / t
-    return max(1, -int(-low // 1)), int(high)
+    """The least and the most bigrams of a unit that can reach t; in fractions, so that units exactly at t stay."""
+    exact = Fraction(str(t))
+    return max(1, ceil(b * exact / (2 - exact))), floor(b * (2 - exact) / exact)
 
 
 def scan(docs: DataFrame, templates: list[tuple[str, str]] | None = None, threshold: float = 0.8) -> DataFrame:
@@ -72,7 +76,7 @@ def scan(docs: DataFrame, templates: list[tuple[str, str]] | None = None, thresh
         b = len(r["grams"])
         low, high = bounds(b, threshold)
         # At least this many of the template's bigrams are in any unit that reaches the threshold.
-        least = -int(-threshold * (low + b) / 2 // 1)
+        least = ceil(Fraction(str(threshold)) * (low + b) / 2)
         needed |= set(sorted(r["grams"], key=lambda g: (often[g], g))[: b - least + 1])
         filed += [(size, r["template"], r["license"], r["grams"]) for size in range(low, high + 1)]
     by_size = spark.createDataFrame(filed, "n int, template int, license string, tgrams array<string>")

@@ -485,3 +485,9 @@ def test_pipeline_near_copies_by_jaccard(spark):
         for d in sorted(got):
             least.setdefault(got[d], d)
         assert {d: least[got[d]] for d in got} == want
+
+
+def test_licenses_exactly_at_the_threshold(spark):
+    assert licenses.bounds(4, 0.8) == (3, 6) and licenses.bounds(6, 0.8) == (4, 9)
+    got = licenses.scan(docs_of(spark, ["Notice: released under the MIT License today"])).first()
+    assert (got["license"], got["dice"]) == ("MIT", 0.8)
