@@ -1,9 +1,10 @@
 """Quality rules as weak supervision.
 
-Every rule votes good (1), bad (-1) or abstains (0). Expectation-maximisation over the counts of vote
-patterns (their number depends on the rules, not on the corpus) estimates each rule's accuracy from where the
-rules agree; a document is kept if the posterior probability that it is good reaches a threshold, so one
-doubtful rule doesn't decide alone. Base failures are never kept.
+Every rule votes good (1), bad (-1) or abstains (0). Expectation-maximisation over the counts of vote patterns
+(their number depends on the rules, not on the corpus) estimates how often each rule votes either way on good and
+on bad texts, and how many texts are good; a document is kept if the posterior probability that it is good reaches a
+threshold. So a bad vote of a rule that often errs is outweighed by the good votes of others, and one of a rule that
+hardly ever errs isn't. Base failures are never kept.
 
 Defined cases: a null text has no words and fails; texts without words never divide by 0; an empty table
 gives no rows; repeated rows get the same verdict; a very long text is counted whole.
@@ -90,45 +91,60 @@ def share(a: str, b: str) -> Column:
 
 
 def votes() -> dict[str, Column]:
-    """The rules. Each names one fault and votes bad where it is plain; only the last one votes good, for a
-    text that is clean in all respects. Otherwise a rule abstains, as no fault of one kind says nothing of others."""
-    bad = lambda c: F.when(c, -1).otherwise(0)
-    mean = share("word_chars", "n_words")
-    clean = (
-        (share("n_symbols", "n_words") < 0.1) & (share("n_tails", "n_words") < 0.05) & (share("n_caps", "n_words") < 0.1) & (share("n_stops", "n_words") <= 0.4)
-        & (F.col("n_dup_lines") == 0) & (share("n_repeat_words", "n_words") < 0.05) & (share("n_stutters", "n_words") < 0.1) & (F.col("n_words") >= 12)
-    )
+    """The rules. Each looks at one side of a text: it votes bad (-1) beyond one bound, good (1) within another, and
+    abstains (0) between them or where the text is too short to say."""
+    rule = lambda bad, good: F.when(bad, -1).when(good, 1).otherwise(0)
+    symbols, tails, capitals, stops, repeats, stutters = (share(c, "n_words") for c in ("n_symbols", "n_tails", "n_caps", "n_stops", "n_repeat_words", "n_stutters"))
+    dup, mean = share("n_dup_lines", "n_lines"), share("word_chars", "n_words")
     return {
-        "symbols": bad(share("n_symbols", "n_words") > 0.3),
-        "symbol_tails": bad(share("n_tails", "n_words") > 0.25),
-        "capitals": bad(share("n_caps", "n_words") > 0.4),
-        "stops": bad((share("n_stops", "n_words") > 0.7) & (F.col("n_words") >= 10)),
-        "dup_lines": bad((F.col("n_dup_lines") >= 3) & (share("n_dup_lines", "n_lines") > 0.3)),
-        "repeats": bad(share("n_repeat_words", "n_words") > 0.25),
-        "stutters": bad((share("n_stutters", "n_words") > 0.25) & (F.col("n_words") >= 10)),
-        "word_length": bad((F.col("n_words") >= 10) & ((mean < 2) | (mean > 20))),
-        "clean": F.when(clean, 1).otherwise(0),
+        "symbols": rule(symbols > 0.1, symbols < 0.02),
+        "symbol_tails": rule(tails > 0.05, tails < 0.01),
+        "capitals": rule(capitals > 0.05, capitals < 0.02),
+        "stops": rule((stops > 0.25) | (stops < 0.03), stops.between(0.05, 0.15)),
+        "dup_lines": rule(dup > 0.1, F.col("n_dup_lines") == 0),
+        "repeats": rule(repeats > 0.1, repeats < 0.02),
+        "stutters": rule(stutters > 0.05, stutters < 0.02),
+        "word_length": rule((mean < 4.2) | (mean > 6.2), mean.between(4.5, 5.7)),
+        "length": rule(F.col("n_words") < 30, F.col("n_words") >= 100),
     }
 
 
-def estimate(patterns: np.ndarray, n: np.ndarray, balance: float = 0.5, rounds: int = 200) -> tuple[np.ndarray, np.ndarray]:
-    """The posterior of good by vote pattern, and each rule's accuracy, by expectation-maximisation.
+VOTES = (-1, 0, 1)
+#: What is believed of any rule before votes are seen: how often it votes bad, abstains, votes good, on bad and on good texts.
+BELIEF = np.array([[0.25, 0.25, 0.5], [0.05, 0.15, 0.8]])
 
-    A rule that votes is right with its accuracy; whether it votes doesn't depend on the class. Accuracies
-    stay above chance, which fixes the class that is called good; `balance` is the share of good documents
-    before any vote.
+
+def evidence(table: np.ndarray) -> np.ndarray:
+    """How much each vote of each rule speaks for good (rules x votes), from the rules' tables by class.
+
+    A bad vote never speaks for good nor a good vote for bad, whatever was estimated; this fixes which class is called good.
+    """
+    lean = np.log(table[1]) - np.log(table[0])
+    lean[:, 0], lean[:, 2] = np.minimum(lean[:, 0], 0), np.maximum(lean[:, 2], 0)
+    return lean
+
+
+def estimate(patterns: np.ndarray, n: np.ndarray, strength: float = 10.0, rounds: int = 500) -> tuple[np.ndarray, np.ndarray, float]:
+    """The posterior of good by vote pattern, each rule's table of votes by class (class x rule x vote), and the share
+    of good texts, by expectation-maximisation from n texts of each pattern.
+
+    Rules vote independently within a class. A rule's table says how reliable it is: one whose bad votes often fall on
+    texts that the others call good counts little, and so does one that votes alike on both. `strength` texts of the
+    general belief are added to each class.
     """
-    right, prior = np.full(patterns.shape[1], 0.8), np.log(balance / (1 - balance))
-    post = np.full(len(n), balance)
+    one = np.stack([patterns == v for v in VOTES], 2).astype(float)
+    post = 1 / (1 + np.exp(-(0.5 * (patterns > 0).sum(1) - 2.0 * (patterns < 0).sum(1))))
     for _ in range(rounds):
-        lean = prior + patterns @ np.log(right / (1 - right))
+        weight = np.stack([n * (1 - post), n * post])
+        good = float((weight[1].sum() + 1) / (n.sum() + 2))
+        table = np.einsum("cp,prv->crv", weight, one) + strength * BELIEF[:, None, :]
+        table /= table.sum(2, keepdims=True)
+        lean = np.log(good / (1 - good)) + np.einsum("prv,rv->p", one, evidence(table))
         new = 1 / (1 + np.exp(-np.clip(lean, -500, 500)))
-        agree = (np.where(patterns > 0, new[:, None], 1 - new[:, None]) * (patterns != 0) * n[:, None]).sum(0)
-        right = np.clip((agree + 8) / (((patterns != 0) * n[:, None]).sum(0) + 10), 0.55, 0.995)
         done, post = np.abs(new - post).max() < 1e-12, new
         if done:
             break
-    return post, right
+    return post, table, good
 
 
 def judge(docs: DataFrame, threshold: float = 0.5) -> DataFrame:
@@ -140,7 +156,7 @@ def judge(docs: DataFrame, threshold: float = 0.5) -> DataFrame:
     failed = (F.col("n_words") < 10) | (100 * F.col("n_repeat_words") > 20 * F.col("n_words"))
     p_good = F.lit(0.0)
     if seen:
-        post, _ = estimate(np.array([r[0] for r in seen]), np.array([r[1] for r in seen], float))
+        post, _, _ = estimate(np.array([r[0] for r in seen]), np.array([r[1] for r in seen], float))
         known = docs.sparkSession.createDataFrame([(r[0], round(float(p), 9)) for r, p in zip(seen, post, strict=True)], "__votes array<int>, p_good double")
         voted = voted.join(F.broadcast(known), "__votes")
         p_good = F.col("p_good")

@@ -298,6 +298,41 @@ def test_quality(spark, sf):
     assert len(quality.judge(docs_of(spark, ODD)).collect()) == len(ODD) and quality.judge(docs_of(spark, [])).collect() == []
 
 
+def test_quality_model_decides(spark):
+    """The posterior, not the mere absence of bad votes, gives the verdict, and it follows what was estimated."""
+    n_rules, rng = len(quality.votes()), np.random.default_rng(4)
+    good = rng.random(20_000) < 0.8
+    # Rule 0 errs on a fifth of the good texts; the others hardly ever. Bad texts show two faults of many.
+    v = np.where(rng.random((20_000, n_rules)) < 0.15, 0, 1)
+    v[good & (rng.random(20_000) < 0.2), 0] = -1
+    for i in np.flatnonzero(~good):
+        v[i, rng.choice(np.arange(1, n_rules), 2, replace=False)] = -1
+    patterns, of, n = np.unique(v, axis=0, return_inverse=True, return_counts=True)
+    post, table, share = quality.estimate(patterns, n.astype(float))
+    kept, all_pass = post[of] >= 0.5, (v >= 0).all(1)
+    assert abs(share - 0.8) < 0.05
+    assert (kept == good).mean() > 0.97 > (all_pass == good).mean() + 0.1
+    noisy, sure = np.full((2, n_rules), 1)
+    noisy[0], sure[1] = -1, -1
+    lean = quality.evidence(table)
+    verdict = lambda p: np.log(share / (1 - share)) + sum(lean[k, x + 1] for k, x in enumerate(p)) > 0
+    assert verdict(noisy) and not verdict(np.where(np.arange(n_rules) < 3, -1, 1)) and lean[0, 0] > 3 + lean[1, 0]
+
+
+def test_quality_beats_all_must_pass(spark, sf):
+    sf = sf.replace("sf0.001", "sf0.01")
+    docs = table(spark, sf, "documents")
+    labels = {r["doc_id"]: r["quality"] for r in table(spark, sf, "labels").where("quality IS NOT NULL").collect()}
+    rows = quality.counts(docs).select("doc_id", F.least(*quality.votes().values()).alias("worst")).collect()
+    passes = {r["doc_id"]: r["worst"] >= 0 for r in rows}
+    got = [r for r in pylist(quality.judge(docs)) if not r["base_failed"]]
+    differ = [r["doc_id"] for r in got if r["kept"] != passes[r["doc_id"]]]
+    judged = [r for r in got if r["doc_id"] in labels]
+    right = lambda f: np.mean([f(r) == (labels[r["doc_id"]] == 1) for r in judged])
+    assert differ and all(not passes[d] for d in differ)  # single doubtful votes that the others outweigh
+    assert right(lambda r: r["kept"]) > max(0.97, right(lambda r: passes[r["doc_id"]]))
+
+
 def test_quality_long_texts():
     rng = np.random.default_rng(2)
     for words in (10, 40, 3):
