@@ -4,8 +4,8 @@ Lengths are grouped into classes; a configuration says how many items of each cl
 program (fewest sequences that cover every class) is solved by multiplicative weights: each class has a
 price that falls as it is covered, and each round a knapsack dynamic program finds the configuration worth
 most at these prices. Rounded down, configurations become groups of like sequences; what is left over goes,
-longest first, where it fits best. The shortest pieces, a small share of all tokens, are set aside before the
-program and fill what its groups leave free, as is usual for such schemes. All this works on counts by length, so it is the same work for any number
+longest first, where it fits best. The shortest pieces, a fifth of all tokens, are set aside before the program: they
+close its groups and fill what is left free, as is usual for such schemes. All this works on counts by length, so it is the same work for any number
 of documents. Documents are then dealt to the slots by their rank among pieces of the same length; ranks come
 from salted groups, so that one length may hold any share of the rows.
 
@@ -19,7 +19,7 @@ import gc
 import os
 import unicodedata
 import zlib
-from bisect import bisect_left, insort
+from bisect import bisect_left, bisect_right, insort
 from collections.abc import Iterator
 
 import numpy as np
@@ -40,11 +40,11 @@ class Encoder:
     ends with a token that carries the end-of-word mark, which tells them apart again.
     """
 
-    def __init__(self, path: str, chunks: int = 500_000, pretokens: int = 700_000):
+    def __init__(self, path: str, chunks: int = 500_000, pretokens: int = 700_000, longest: int = 64):
         import regex
         from tokenizers import Tokenizer
 
-        self.tok, self.limits = Tokenizer.from_file(path), (chunks, pretokens)
+        self.tok, self.limits, self.longest = Tokenizer.from_file(path), (chunks, pretokens), longest
         self.chunks: dict[str, bytes] = {"": b""}
         self.pretokens: dict[str, bytes] = {}
         # Fixed value: the pre-token pattern of the tokenizer's file.
@@ -111,11 +111,11 @@ class Encoder:
             for parts, values, gap in zip(rows, found, gaps, strict=True):
                 for i in gap:
                     values[i] = made[parts[i]]
-            # Full memories stay as they are: what is frequent came early.
+            # Full memories stay as they are: what is frequent came early. Long blobs are never kept, so bytes are bounded too.
             if len(known) < self.limits[0]:
-                known.update(made)
+                known.update((w, ids) for w, ids in made.items() if len(w) <= self.longest)
             if len(pre) < self.limits[1]:
-                pre.update(fresh)
+                pre.update((w, ids) for w, ids in fresh.items() if len(w) <= self.longest)
         return list(map(b"".join, found))
 
 
@@ -216,16 +216,23 @@ def solve(width: np.ndarray, demand: np.ndarray, cap: int, eps: float = 0.15, ro
 
 class Plan:
     """Groups of like sequences: per length, runs of ranks with the first sequence, the items per sequence
-    of that length, and the place of the first of them."""
+    of that length, and the place of the first of them. Without the program, all is best fit."""
 
-    def __init__(self, histogram: dict[int, int], cap: int = 2048, at_most: int = 160, aside: float = 0.02, tight: float = 0.999):
+    def __init__(self, histogram: dict[int, int], cap: int = 2048, at_most: int = 160, aside: float = 0.2, tight: float = 0.999, program: bool = True):
         self.cap = cap
         self.left = {s: n for s, n in sorted(histogram.items()) if n}
+        self.lengths = list(self.left)  # in order
         self.groups: list[list] = []  # [pattern {length: items}, sequences, slack]
         total = sum(s * n for s, n in self.left.items())
         self.bound = -(-total // cap)
         if cap in self.left:
             self.add({cap: 1}, self.left[cap])
+        if program:
+            self.follow(at_most, aside, tight)
+        self.fit_rest()
+
+    def follow(self, at_most: int, aside: float, tight: float) -> None:
+        """Solve the program for all but the shortest pieces (`aside` of all tokens) and round it down."""
         sizes = np.array(list(self.left), int)
         counts = np.array([self.left[s] for s in sizes.tolist()], int)
         large = np.cumsum(sizes * counts) > aside * (sizes * counts).sum()
@@ -235,31 +242,39 @@ class Plan:
             width = np.array([sizes[of == k].max() for k in range(of.max() + 1)])
             demand = np.array([counts[of == k].sum() for k in range(of.max() + 1)], float)
             self.members = [sizes[of == k][::-1].tolist() for k in range(of.max() + 1)]
-            found, self.lp_bound = solve(width, demand, cap)
-            full = [(a, x) for a, x in found if a @ width >= tight * cap]  # the last rounds only have a few classes to cover
+            found, self.lp_bound = solve(width, demand, self.cap)
+            full = [(a, x) for a, x in found if a @ width >= tight * self.cap]  # the last rounds only have a few classes to cover
             for a, x in sorted(full, key=lambda f: -f[1]):
                 self.fill(a, int(x))
-        self.fit_rest()
 
     def add(self, pattern: dict[int, int], times: int) -> None:
         for s, k in pattern.items():
             self.left[s] -= k * times
             if not self.left[s]:
                 del self.left[s]
+                del self.lengths[bisect_left(self.lengths, s)]
         self.groups.append([pattern, times, self.cap - sum(s * k for s, k in pattern.items())])
 
     def fill(self, a: np.ndarray, times: int) -> None:
-        """Turn a configuration of classes into groups of true lengths, as long as there are items."""
+        """Turn a configuration of classes into groups of true lengths, as long as there are items. Classes stand for
+        their widest member, so the last item is the longest of any class that still fits: groups have no gaps then."""
+        wanted = [k for k in np.flatnonzero(a)[::-1].tolist() for _ in range(int(a[k]))]
         while times > 0:
             pattern: dict[int, int] = {}
-            for k in np.flatnonzero(a):
-                need = int(a[k])
-                for s in self.members[k]:
-                    if need and (got := min(need, self.left.get(s, 0))):
-                        pattern[s] = got
-                        need -= got
-                if need:
+            room = self.cap
+            more = lambda s: self.left.get(s, 0) > pattern.get(s, 0)
+            for k in wanted[:-1]:
+                s = next((s for s in self.members[k] if more(s)), None)
+                if s is None:
                     return
+                pattern[s] = pattern.get(s, 0) + 1
+                room -= s
+            at = bisect_right(self.lengths, room) - 1
+            while at >= 0 and not more(self.lengths[at]):
+                at -= 1
+            if at < 0 or self.lengths[at] < room:
+                return
+            pattern[room] = pattern.get(room, 0) + 1
             n = min(times, *(self.left[s] // k for s, k in pattern.items()))
             self.add(pattern, n)
             times -= n
@@ -320,13 +335,18 @@ class Plan:
         return {s: tuple(np.array(c, np.int64) for c in zip(*v, strict=True)) for s, v in out.items()}
 
 
+def best_plan(histogram: dict[int, int], cap: int = 2048) -> Plan:
+    """The program's plan, or that of best fit alone where it takes fewer sequences."""
+    return min(Plan(histogram, cap), Plan(histogram, cap, program=False), key=Plan.sequences)
+
+
 def pack(pieces: DataFrame, max_len: int = 2048) -> tuple[DataFrame, Plan]:
     """Pieces (columns of PIECES, materialised) with sequence_id and offset, and the plan they follow."""
     salts = max(32, pieces.count() // 2_000_000)
     salted = pieces.withColumn("__salt", F.pmod(F.xxhash64("doc_id", "piece", "ids_crc32"), F.lit(salts)))
     tally = cut(salted.groupBy("length", "__salt").agg(F.count(F.lit(1)).alias("__n")))
     histogram = {int(r[0]): int(r[1]) for r in tally.groupBy("length").agg(F.sum("__n")).collect()}  # max_len rows at most
-    plan = Plan(histogram, max_len)
+    plan = best_plan(histogram, max_len)
     before = Window.partitionBy("length").orderBy("__salt").rowsBetween(Window.unboundedPreceding, -1)
     starts = tally.select("length", "__salt", F.coalesce(F.sum("__n").over(before), F.lit(0)).alias("__first"))
     inside = Window.partitionBy("length", "__salt").orderBy("doc_id", "piece", "start", "ids_crc32")

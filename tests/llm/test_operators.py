@@ -118,6 +118,22 @@ def test_packing(spark, sf):
     assert packing.pack_documents(docs_of(spark, []), queries.tokenizer_path()).collect() == []
 
 
+@pytest.mark.parametrize("size", ["sf0.001", "sf0.01", "sf0.1"])
+def test_plan_no_worse_than_best_fit(size):
+    import pyarrow.parquet as pq
+
+    texts = pq.read_table(f"/root/testdata/{size}/documents.parquet", columns=["text"]).column(0).to_pylist()
+    encoder, lengths = packing.Encoder(queries.tokenizer_path()), Counter()
+    for low in range(0, len(texts), 256):
+        for ids in encoder.encode(texts[low : low + 256]):
+            n = len(ids) // 4 + 1
+            lengths[2048] += n // 2048
+            lengths[n % 2048] += 1 if n % 2048 else 0
+    program, fit = packing.Plan(lengths), packing.Plan(lengths, program=False)
+    assert program.sequences() <= fit.sequences()
+    assert packing.best_plan(lengths).sequences() <= program.bound + 1
+
+
 def test_plan_near_the_bound():
     rng = np.random.default_rng(1)
     lengths = np.minimum(2048, rng.lognormal(6, 1, 20000).astype(int) + 1)
@@ -128,6 +144,8 @@ def test_plan_near_the_bound():
         for s, k in pattern.items():
             placed[s] += k * times
     assert placed == Counter(lengths.tolist()) and plan.sequences() <= 1.005 * plan.bound
+    program = sum(times for pattern, times, slack in plan.groups if slack == 0)
+    assert program > 0.5 * plan.sequences()  # most sequences are the program's, filled to the end
 
 
 # 4: chat formatting
