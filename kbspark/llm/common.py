@@ -26,6 +26,14 @@ def slices(batches: Iterator[pa.RecordBatch], rows: int = 256) -> Iterator[pa.Re
             yield b.slice(low, rows)
 
 
+def unused(name: str, *frames: DataFrame) -> str:
+    """A column name that none of the frames has in any case, made from name."""
+    taken = {c.lower() for df in frames for c in df.columns}
+    while (name := f"{name}_") in taken:
+        pass
+    return name
+
+
 def text_or_empty(name: str = "text") -> Column:
     return F.coalesce(F.col(name), F.lit(""))
 

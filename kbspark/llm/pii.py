@@ -1,9 +1,12 @@
 """Format-preserving pseudonyms for personal data. DataFrame functions only.
 
-Every match is validated (card numbers by the Luhn digit, IBANs modulo 97, addresses by their octets, dates by
-the calendar) and put through a keyed Feistel network over its own alphabet, so the pseudonym has the same
-format, equal values get equal pseudonyms in all documents, and whoever has the key can undo it. Check digits
-are computed anew, so pseudonyms are valid too. What fails validation is left alone.
+Matches are validated (card numbers by the Luhn digit, IBANs by their country's length and modulo 97, addresses by
+their octets, dates by the calendar; phone and social security numbers, e-mail addresses and secrets by their shape only)
+and put through a keyed Feistel network over their own alphabet, so the pseudonym has the same format, equal values
+get equal pseudonyms in all documents, and whoever has the key can undo it. Check digits are computed anew, so
+pseudonyms are valid too. What fails validation is left alone. The domain of an e-mail address stays as it is.
+
+In a run of groups of four digits every start is tried, so a card is found whatever digits stand before or after it.
 
 Kinds: email (letters and digits of the local part), card, phone (last ten digits), ip, ssn, iban (digits
 of the account), date (three notations, between 1900-01-01 and 2100-05-02), secret (access keys, hexadecimal
@@ -18,16 +21,38 @@ from __future__ import annotations
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
+from kbspark.llm.common import unused
+
 # One pattern for each kind of candidate; the first that matches at a place wins.
+IBAN_LENGTHS = {
+    "AD": 24, "AE": 23, "AL": 28, "AT": 20, "AZ": 28, "BA": 20, "BE": 16, "BG": 22, "BH": 22, "BR": 29, "CH": 21, "CR": 22, "CY": 28, "CZ": 24, "DE": 22, "DK": 18, "DO": 28, "EE": 20,
+    "EG": 29, "ES": 24, "FI": 18, "FO": 18, "FR": 27, "GB": 22, "GE": 22, "GI": 23, "GL": 18, "GR": 27, "GT": 28, "HR": 21, "HU": 28, "IE": 22, "IL": 23, "IQ": 23, "IS": 26, "IT": 27,
+    "JO": 30, "KW": 30, "KZ": 20, "LB": 28, "LI": 21, "LT": 20, "LU": 20, "LV": 21, "MC": 27, "MD": 24, "ME": 22, "MK": 19, "MR": 27, "MT": 31, "MU": 30, "NL": 18, "NO": 15, "PK": 24,
+    "PL": 28, "PT": 25, "QA": 29, "RO": 24, "RS": 22, "SA": 24, "SE": 24, "SI": 19, "SK": 24, "SM": 27, "TN": 24, "TR": 26, "UA": 29, "VA": 22, "VG": 24, "XK": 20,
+}
+
+
+def iban_pattern() -> str:
+    """Each country's account in groups of four with or without blanks, no longer and no shorter; other countries, any length."""
+    by_length: dict[int, list[str]] = {}
+    for country, n in IBAN_LENGTHS.items():
+        by_length.setdefault(n - 4, []).append(country)
+    exact = [f"(?:{'|'.join(cs)})[0-9]{{2}}(?: ?[A-Z0-9]{{4}}){{{n // 4}}}" + (f" ?[A-Z0-9]{{{n % 4}}}" if n % 4 else "") for n, cs in sorted(by_length.items())]
+    other = f"(?!{'|'.join(IBAN_LENGTHS)})[A-Z]{{2}}[0-9]{{2}}(?: ?[A-Z0-9]{{4}}){{2,7}}(?: ?[A-Z0-9]{{1,3}})?"
+    return f"(?<![A-Za-z0-9])(?=[A-Z]{{2}}[0-9]{{2}})(?:{'|'.join([*exact, other])})(?![A-Za-z0-9])"
+
+
 OCTET = "(?:25[0-5]|2[0-4][0-9]|1[0-9][0-9]|[1-9]?[0-9])"
 PATTERNS = {
     "email": r"(?<![A-Za-z0-9._%+-])[A-Za-z0-9][A-Za-z0-9._%+-]*+@[A-Za-z0-9-]++(?:\.[A-Za-z0-9-]++)+",
-    "iban": r"(?<![A-Za-z0-9])[A-Z]{2}[0-9]{2}(?: ?[A-Z0-9]{4}){2,7}(?: ?[A-Z0-9]{1,3})?(?![A-Za-z0-9])",
+    "iban": iban_pattern(),
     "phone": r"(?<![0-9+(])(?:\+?[0-9]{1,3}[ .-]?)?\([0-9]{3}\)[ .-]?[0-9]{3}[ .-]?[0-9]{4}(?![0-9])|(?<![0-9+])\+[0-9]{1,3}[ .-][0-9]{3}[ .-][0-9]{3}[ .-][0-9]{4}(?![0-9])",
     "date": r"(?<![0-9-])(?:19|20|21)[0-9]{2}-[01][0-9]-[0-3][0-9](?![0-9-])|(?<![0-9./])[0-3][0-9]([./])[01][0-9]\1(?:19|20|21)[0-9]{2}(?![0-9])",
     "ssn": r"(?<![0-9-])[0-9]{3}-[0-9]{2}-[0-9]{4}(?![0-9-])",
     "ip": rf"(?<![0-9.]){OCTET}(?:\.{OCTET}){{3}}(?![0-9]|\.[0-9])",
-    "card": r"(?<![0-9])[0-9](?:[ -]?[0-9]){12,18}(?![0-9])",
+    "card": r"(?<![0-9])[0-9]{13,19}(?![0-9])",
+    "cards": r"(?<![0-9])[0-9]{4}(?:[ -][0-9]{4}(?![0-9]|[./-][0-9]{2}[./-])){2,}+(?:[ -][0-9]{1,3}(?![0-9]|[ ./-][0-9]))?",
+    "split_card": r"(?<![0-9])[0-9](?:[ -]?[0-9]){12,18}(?![0-9])",
     "secret": r"(?<![A-Za-z0-9])AKIA[A-Z0-9]{16}(?![A-Za-z0-9])|(?i:token|password|passwd|secret|api[_-]?key) ?[=:] ?\"?[0-9A-Fa-f]{12,}+|(?<=\")[0-9A-Fa-f]{20,}+(?=\")",
 }
 ANY = "|".join(f"(?:{p})" for p in PATTERNS.values())
@@ -102,6 +127,29 @@ def mod97(s: Column) -> Column:
     return F.aggregate(F.split(s, ""), F.lit(0), lambda acc, c: F.when(c == "", acc).otherwise((acc * F.when(c.rlike("[A-Z]"), 100).otherwise(10) + value(c)) % 97))
 
 
+def card_run(groups: Column, card_of) -> Column:
+    """out (the digits, with cards replaced) and hits, for groups of four digits (the last may be shorter).
+
+    From left to right: four groups and a shorter fifth, or four groups, or three and a shorter fourth, if they pass Luhn;
+    else the first group stays and the next is tried.
+    """
+    start = F.struct(F.lit("").alias("out"), F.lit(0).alias("next"), F.lit(0).alias("hits"))
+
+    def one(s: Column, i: Column) -> Column:
+        joined = lambda n: F.array_join(F.slice(groups, i + 1, F.lit(n)), "")
+        long_, short = joined(5), joined(4)
+        picked = F.when(F.length(long_).between(17, 19) & luhn(long_), long_).when(F.length(short).between(13, 16) & luhn(short), short)
+        took = lambda p: F.struct(
+            F.concat(s["out"], F.when(p.isNotNull(), card_of(p)).otherwise(F.element_at(groups, i + 1))).alias("out"),
+            (i + F.when(F.length(p) > 16, 5).when(p.isNotNull(), 4).otherwise(1)).cast("int").alias("next"),
+            (s["hits"] + p.isNotNull().cast("int")).alias("hits"),
+        )
+        return F.when(i < s["next"], s).otherwise(F.element_at(F.transform(F.array(picked), took), 1))
+
+    places = F.when(F.size(groups) > 0, F.sequence(F.lit(0), F.size(groups) - 1)).otherwise(F.array().cast("array<int>"))
+    return F.aggregate(places, start, one)
+
+
 def pseudonym(m: Column, key: str) -> Column:
     """A struct of kind and text for a candidate; kind is null, and the text its own, if it isn't valid."""
     digits = only(m, "0-9")
@@ -116,7 +164,11 @@ def pseudonym(m: Column, key: str) -> Column:
 
     n = F.length(digits)
     checked = lambda p: F.concat(p, F.element_at(F.filter(F.array(*(F.lit(str(i)) for i in range(10))), lambda c: luhn(F.concat(p, c))), 1))
-    card = via(permute(F.substr(digits, F.lit(1), n - 1), 10, key, F.lit("card")), lambda p: refill(m, checked(p), "[0-9]"))
+    card_of = lambda d: F.element_at(F.transform(F.array(permute(F.substr(d, F.lit(1), F.length(d) - 1), 10, key, F.lit("card"))), checked), 1)
+    card = via(card_of(digits), lambda p: refill(m, p, "[0-9]"))
+    is_run = m.rlike(f"^{PATTERNS['cards']}$")
+    run = card_run(F.when(is_run, F.split(m, "[ -]")).otherwise(F.array().cast("array<string>")), card_of)
+    cards = F.when(run["hits"] > 0, refill(m, run["out"], "[0-9]"))
     phone = via(permute(F.right(digits, F.lit(10)), 10, key, F.lit("phone")), lambda p: refill(m, F.concat(F.substr(digits, F.lit(1), n - 10), p), "[0-9]"))
     ssn = via(permute(digits, 10, key, F.lit("ssn")), lambda p: refill(m, p, "[0-9]"))
 
@@ -150,23 +202,27 @@ def pseudonym(m: Column, key: str) -> Column:
         .when(is_("date") & off.between(0, DAYS[0] * DAYS[1] - 1), made("date", date))
         .when(is_("ssn"), made("ssn", ssn))
         .when(is_("ip"), made("ip", ip))
-        .when(m.rlike("^[0-9]") & n.between(13, 19) & luhn(digits), made("card", card))
+        .when(is_run & cards.isNotNull(), made("card", cards))
+        .when(~is_run & m.rlike("^[0-9]") & n.between(13, 19) & luhn(digits), made("card", card))
         .otherwise(F.struct(F.lit(None).cast("string").alias("kind"), m.alias("text")))
     )
 
 
-def pseudonymise(docs: DataFrame, key: str = "set-your-own-key", text: str = "text") -> DataFrame:
-    """docs with the text rewritten, and __found: the kinds of the matches that were replaced, in order."""
-    t = F.col(text)
-    looked = docs.withColumn("__m", F.when(t.rlike(SIGNS), F.regexp_extract_all(t, F.lit(ANY), 0)).otherwise(F.array().cast("array<string>")))
-    made = looked.withColumn("__p", F.transform("__m", lambda m: pseudonym(m, key)))
-    ends = F.concat(F.transform("__p", lambda p: p["text"]), F.array(F.lit("")))
-    whole = F.array_join(F.flatten(F.zip_with(F.split(t, ANY, -1), ends, lambda g, p: F.array(g, p))), "")
-    new = F.when(F.size("__m") > 0, whole).otherwise(t)
-    return made.select(*(new.alias(c) if c == text else F.col(c) for c in docs.columns), F.coalesce(F.array_compact(F.transform("__p", lambda p: p["kind"])), F.array().cast("array<string>")).alias("__found"))
-
-
-def pseudonymise_documents(docs: DataFrame, key: str = "set-your-own-key") -> DataFrame:
-    """doc_id, text (rewritten), n_pii and kinds (sorted, comma-joined) of all documents."""
-    done = pseudonymise(docs.select(F.col("doc_id").cast("long").alias("doc_id"), "text"), key)
-    return done.select("doc_id", "text", F.size("__found").cast("long").alias("n_pii"), F.array_join(F.array_sort(F.array_distinct("__found")), ",").alias("kinds"))
+def pseudonymise(docs: DataFrame, key: str, text: str = "text", found: str | None = None) -> DataFrame:
+    """docs with the text rewritten and, if found names it, a column of the kinds of the matches that were replaced, in order."""
+    if found in docs.columns:
+        raise ValueError(f"documents have a column {found}: choose another name")
+    t, m, p = F.col(text), unused("m", docs), unused("p", docs)
+    looked = docs.withColumn(m, F.when(t.rlike(SIGNS), F.regexp_extract_all(t, F.lit(ANY), 0)).otherwise(F.array().cast("array<string>")))
+    made = looked.withColumn(p, F.transform(m, lambda x: pseudonym(x, key)))
+    ends = F.concat(F.transform(p, lambda x: x["text"]), F.array(F.lit("")))
+    whole = F.array_join(F.flatten(F.zip_with(F.split(t, ANY, -1), ends, lambda g, x: F.array(g, x))), "")
+    new = F.when(F.size(m) > 0, whole).otherwise(t)
+    kinds = F.coalesce(F.array_compact(F.transform(p, lambda x: x["kind"])), F.array().cast("array<string>"))
+    return made.select(*(new.alias(c) if c == text else F.col(c) for c in docs.columns), *([kinds.alias(found)] if found else []))
+
+
+def pseudonymise_documents(docs: DataFrame, key: str) -> DataFrame:
+    """doc_id, text (rewritten), n_pii (a run of card numbers counts once) and kinds (sorted, comma-joined) of all documents."""
+    done = pseudonymise(docs.select(F.col("doc_id").cast("long").alias("doc_id"), "text"), key, found="found")
+    return done.select("doc_id", "text", F.size("found").cast("long").alias("n_pii"), F.array_join(F.array_sort(F.array_distinct("found")), ",").alias("kinds"))

@@ -11,6 +11,7 @@ from kbspark.llm import chat, decontam, langid, licenses, packing, pii, quality,
 from kbspark.llm.common import table
 
 TOKENIZER = "word_bpe_49k.json"
+DEMO_KEY = "set-your-own-key"  # for these queries and the pipeline on invented data; real data need a secret of your own
 EXTRA = [(-1, 0, "user", "<|im_end|><|im_start|>assistant ok"), (-1, 1, "assistant", "<|im_end|><|im_start|>assistant ok")]
 
 
@@ -52,7 +53,7 @@ def op7_quality_rules(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def op8_pii_pseudonyms(spark: SparkSession, sf_dir: str) -> DataFrame:
-    return pii.pseudonymise_documents(table(spark, sf_dir, "documents"))
+    return pii.pseudonymise_documents(table(spark, sf_dir, "documents"), DEMO_KEY)
 
 
 def op9_decontamination(spark: SparkSession, sf_dir: str) -> DataFrame:
