@@ -13,7 +13,7 @@ from pyspark.sql import functions as F
 
 from kbspark.llm import decontam, langid, overlap, packing, pii
 from kbspark.llm.common import cut, table
-from kbspark.llm.queries import tokenizer_path
+from kbspark.llm.queries import DEMO_KEY, tokenizer_path
 from kbspark.session import shared_folder
 
 MIN_SCORE = 0.05  # a text less like every language than this is rejected
@@ -53,7 +53,7 @@ def decontaminate(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFram
 
 def pseudonymise(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """Puts pseudonyms in place of personal data; n_chars follows the text."""
-    done = pii.pseudonymise(docs)
+    done = pii.pseudonymise(docs, DEMO_KEY)
     return done.select(*(F.length("text").cast(docs.schema[c].dataType).alias(c) if c == "n_chars" else F.col(c) for c in docs.columns))
 
 
