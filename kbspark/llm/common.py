@@ -34,6 +34,11 @@ def unused(name: str, *frames: DataFrame) -> str:
     return name
 
 
+def if_few(df: DataFrame, rows: int) -> DataFrame:
+    """df, to be broadcast if it has at most so many rows (callers pass rows of a few numbers); stops counting one beyond."""
+    return F.broadcast(df) if df.limit(rows + 1).count() <= rows else df
+
+
 def text_or_empty(name: str = "text") -> Column:
     return F.coalesce(F.col(name), F.lit(""))
 
