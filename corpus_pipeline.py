@@ -8,15 +8,26 @@ from __future__ import annotations
 
 import uuid
 
-from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from kbspark.llm import decontam, langid, overlap, packing, pii
-from kbspark.llm.common import cut, table
+from kbspark.llm.common import cut, if_few, table, unused
 from kbspark.llm.queries import DEMO_KEY, tokenizer_path
 from kbspark.session import shared_folder
 
 MIN_SCORE = 0.05  # a text less like every language than this is rejected
+FEW = 1_000_000  # documents' numbers that are broadcast at most
+
+
+def text_key() -> Column:
+    return F.xxhash64(F.coalesce("text", F.lit("")))
+
+
+def matching(docs: DataFrame, marks: DataFrame, how: str) -> DataFrame:
+    """docs semi- or anti-joined with marks (doc_id and key, a hash of the text), whatever columns docs has."""
+    d, k = unused("d", docs), unused("k", docs)
+    return docs.join(marks.toDF(d, k), F.col("doc_id").cast("long").eqNullSafe(F.col(d)) & (text_key() == F.col(k)), how)
 
 
 def language(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
@@ -33,22 +44,24 @@ def near_dedup(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """Keeps one document of each group of near-duplicates, linked from a Jaccard similarity of 0.8 of their five-word
     shingles: that of the smallest doc_id, nulls last, then by a hash of the text. A row that is there twice is kept
     once; different documents of one doc_id are judged apart."""
-    key = F.xxhash64(F.coalesce("text", F.lit("")))
-    rows = docs.select(F.col("doc_id").cast("long").alias("doc_id"), key.alias("key"), "text")
+    rows = docs.select(F.col("doc_id").cast("long").alias("doc_id"), text_key().alias("key"), "text")
     marked = cut(overlap.marked(rows))
     found = marked.select("doc_id", "key", "item").join(overlap.groups(marked, rows), "item")
-    first = found.groupBy("root").agg(F.min(F.struct(F.col("doc_id").isNull().alias("none"), "doc_id", "key")).alias("w")).select(F.col("w.doc_id").alias("__d"), F.col("w.key").alias("__k"))
-    kept = docs.join(first, F.col("doc_id").cast("long").eqNullSafe(F.col("__d")) & (key == F.col("__k")), "left_semi")
-    repeated = marked.groupBy("doc_id", "key").agg(F.count(F.lit(1)).alias("n")).where("n > 1")
-    return kept if repeated.isEmpty() else kept.dropDuplicates(["doc_id", "text"])
+    first = found.groupBy("root").agg(F.min(F.struct(F.col("doc_id").isNull().alias("none"), "doc_id", "key")).alias("w")).select("w.doc_id", "w.key")
+    kept = matching(docs, first, "left_semi")
+    repeated = marked.groupBy("doc_id", "key").agg(F.count(F.lit(1)).alias("n")).where("n > 1").select("doc_id", "key")
+    if repeated.isEmpty():
+        return kept
+    # Only the rows that are there twice are dealt by text again.
+    repeated = if_few(cut(repeated), FEW)
+    return matching(kept, repeated, "left_anti").union(matching(kept, repeated, "left_semi").dropDuplicates(["doc_id", "text"]))
 
 
 def decontaminate(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """Drops documents that hold a benchmark window."""
     judged = decontam.contaminated(docs.select("doc_id", "text"), table(spark, sf_dir, "benchmark"))
-    bad = judged.where("contaminated").select(F.col("doc_id").alias("__d"), F.col("key").alias("__k")).distinct()
-    same = F.col("doc_id").cast("long").eqNullSafe(F.col("__d")) & (F.xxhash64(F.coalesce("text", F.lit(""))) == F.col("__k"))
-    return docs.join(bad, same, "left_anti")
+    bad = cut(judged.where("contaminated").select("doc_id", "key").distinct())
+    return matching(docs, if_few(bad, FEW), "left_anti")
 
 
 def pseudonymise(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
