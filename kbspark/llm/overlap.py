@@ -1,7 +1,11 @@
 """Near copies by the exact Jaccard similarity of word shingles, found without losing a pair.
 
-A text's set of five-word shingles is held as 64-bit hashes. Texts of equal sets are one item. Two sets of
-similarity 4/5 or more share one of their first n - ceil(4n/5) + 1 shingles in any order that is the same for
+A text's set of five-word shingles is held as 64-bit hashes. Texts of equal sets are one item. SimHash fingerprints
+of these sets, grouped with pivot tables (`simhash`), propose the first pairs, each item with the first of its group;
+those that reach the similarity connect most near copies at a cost that is linear in the items. Fingerprints miss pairs
+that are more than a few bits apart, and at a similarity of 0.8 most are; so the items not connected yet are joined by prefix:
+
+Two sets of similarity 4/5 or more share one of their first n - ceil(4n/5) + 1 shingles in any order that is the same for
 all, so items meet under these only. The order puts shingles that a sample of texts often has last, by
 count, and others by hash; what the sample holds changes the work, never the pairs. Pairs under one shingle are
 dropped by bounds that no true pair fails (sizes, places in the order, parity bits of the whole sets), and
@@ -23,7 +27,8 @@ from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
-from kbspark.llm.common import cut, slices
+from kbspark.llm import simhash
+from kbspark.llm.common import cut, if_few, slices
 from kbspark.operators.components import components
 
 # Words of a shingle, the similarity as a fraction, longs of parity bits.
@@ -68,7 +73,7 @@ def parity(sh: np.ndarray) -> np.ndarray:
     return np.packbits(odd.astype(np.uint8)).view(np.int64)
 
 
-def frequent(docs: DataFrame, texts: int = 10_000, least: int = 3, most: int = 200_000) -> tuple[np.ndarray, np.ndarray]:
+def frequent(docs: DataFrame, texts: int = 5_000, least: int = 3, most: int = 200_000) -> tuple[np.ndarray, np.ndarray]:
     """Shingles that many texts of a sample have, sorted, and in how many: only for the order."""
     share = min(1.0, texts / max(1, docs.count()))
     some = docs.where(F.pmod(F.xxhash64("doc_id", "key", F.lit("order")), F.lit(1_000_000)) < int(1_000_000 * share) + 1)
@@ -86,8 +91,16 @@ def frequent(docs: DataFrame, texts: int = 10_000, least: int = 3, most: int = 2
     return sh[by], n[by]
 
 
+def fingerprint(sh: np.ndarray) -> int:
+    """A bit is 1 if more than half the shingles have it."""
+    ones = np.zeros(64, np.int64)
+    for i in range(0, len(sh), 65_536):
+        ones += np.unpackbits(sh[i : i + 65_536].view(np.uint8).reshape(-1, 8), axis=1).sum(0, dtype=np.int64)
+    return int(np.packbits(2 * ones > len(sh)).view(np.int64)[0])
+
+
 def marked(docs: DataFrame) -> DataFrame:
-    """doc_id, key, item (a hash of the shingle set), n (its size), prefix and bits of all rows (columns doc_id, key, text)."""
+    """doc_id, key, item (a hash of the shingle set), n (its size), fp, prefix and bits of all rows (columns doc_id, key, text)."""
     often, times = frequent(docs)
 
     def first(sh: np.ndarray) -> np.ndarray:
@@ -107,11 +120,11 @@ def marked(docs: DataFrame) -> DataFrame:
             firsts = [first(s).view(np.int64) for s in sets]
             listed = lambda xs: pa.ListArray.from_arrays(pa.array(np.cumsum([0, *map(len, xs)]), pa.int32()), pa.array(np.concatenate(xs)))
             yield pa.RecordBatch.from_arrays(
-                [b.column(0), b.column(1), pa.array(item), pa.array(np.fromiter(map(len, sets), np.int32)), listed(firsts), listed([parity(s) for s in sets])],
-                ["doc_id", "key", "item", "n", "prefix", "bits"],
+                [b.column(0), b.column(1), pa.array(item), pa.array(np.fromiter(map(len, sets), np.int32)), pa.array([fingerprint(s) for s in sets], pa.int64()), listed(firsts), listed([parity(s) for s in sets])],
+                ["doc_id", "key", "item", "n", "fp", "prefix", "bits"],
             )
 
-    return docs.select("doc_id", "key", "text").mapInArrow(run, "doc_id long, key long, item long, n int, prefix array<long>, bits array<long>")
+    return docs.select("doc_id", "key", "text").mapInArrow(run, "doc_id long, key long, item long, n int, fp long, prefix array<long>, bits array<long>")
 
 
 def whole_sets(docs: DataFrame) -> DataFrame:
@@ -129,50 +142,69 @@ def whole_sets(docs: DataFrame) -> DataFrame:
 def possible(a: str, b: str) -> Column:
     """No pair of items of the similarity or more fails this in the first shingle that both prefixes have."""
     f = lambda side, name: F.col(f"{side}{name}")
-    both, least = f(a, "n") + f(b, "n"), NUM + DEN
-    differ = sum((F.bit_count(f(a, "bits")[i].bitwiseXOR(f(b, "bits")[i])) for i in range(1, PARITY)), F.bit_count(f(a, "bits")[0].bitwiseXOR(f(b, "bits")[0])))
-    return (
-        (DEN * F.least(f(a, "n"), f(b, "n")) >= NUM * F.greatest(f(a, "n"), f(b, "n")))
-        & (least * F.least(f(a, "n") - f(a, "pos"), f(b, "n") - f(b, "pos")) >= NUM * both)
-        & (least * differ <= (DEN - NUM) * both)
+    return (DEN * F.least(f(a, "n"), f(b, "n")) >= NUM * F.greatest(f(a, "n"), f(b, "n"))) & (
+        (NUM + DEN) * F.least(f(a, "n") - f(a, "pos"), f(b, "n") - f(b, "pos")) >= NUM * (f(a, "n") + f(b, "n"))
     )
 
 
+def parities_allow(u: str, v: str) -> Column:
+    """No such pair's parity bits differ in more places than its sets may."""
+    differ = sum((F.bit_count(F.col(f"{u}bits")[i].bitwiseXOR(F.col(f"{v}bits")[i])) for i in range(1, PARITY)), F.bit_count(F.col(f"{u}bits")[0].bitwiseXOR(F.col(f"{v}bits")[0])))
+    return (NUM + DEN) * differ <= (DEN - NUM) * (F.col(f"{u}n") + F.col(f"{v}n"))
+
+
+FEW = 1_000_000  # items' numbers that are broadcast at most; beyond, the join is a shuffle
+
+
 def links(rows: DataFrame, docs: DataFrame, crowd: int = 32, centres: int = 4) -> DataFrame:
     """u, v: pairs of items of the similarity or more, as many as connect all that are connected by such pairs.
     rows are from marked(docs), kept."""
-    items = cut(rows.groupBy("item").agg(F.any_value("n").alias("n"), F.any_value("prefix").alias("prefix"), F.any_value("bits").alias("bits"), F.min(F.struct(F.col("doc_id").isNull().alias("none"), "doc_id", "key")).alias("who")))
-    placed = items.select("item", "n", F.posexplode("prefix").alias("pos", "sh")).repartition("sh")
-    sizes = placed.groupBy("sh").agg(F.count(F.lit(1)).alias("m")).where("m > 1")
-    shared = cut(placed.join(sizes, "sh").join(items.select("item", "bits"), "item"))
-
-    def pairs(left: DataFrame, right: DataFrame, where: Column | None = None) -> DataFrame:
-        a, b = (df.select("sh", *(F.col(c).alias(s + c) for c in df.columns if c != "sh")) for s, df in (("a_", left), ("b_", right)))
-        met = a.join(b, "sh").where(possible("a_", "b_") & (F.col("a_item") != F.col("b_item") if where is None else where))
-        return met.select(F.least("a_item", "b_item").alias("u"), F.greatest("a_item", "b_item").alias("v")).distinct()
+    who = F.min(F.struct(F.col("doc_id").isNull().alias("none"), "doc_id", "key")).alias("who")
+    items = cut(rows.groupBy("item").agg(F.any_value("n").alias("n"), F.any_value("fp").alias("fp"), F.any_value("bits").alias("bits"), who))
 
     def verified(found: DataFrame) -> DataFrame:
-        found = cut(found)
+        """The pairs that reach the similarity: first by their parity bits, then by the whole sets of those left."""
+        known = items.select("item", "n", "bits")
+        for side in ("u", "v"):
+            found = found.join(known.toDF(side, f"{side}_n", f"{side}_bits"), side)
+        found = cut(found.where(parities_allow("u_", "v_")).select("u", "v").distinct())
         needed = found.select(F.explode(F.array("u", "v")).alias("item")).distinct()
-        who = items.join(needed, "item").select("item", F.col("who.doc_id").alias("d"), F.col("who.key").alias("k"))
-        texts = docs.join(who, F.col("doc_id").eqNullSafe(F.col("d")) & (F.col("key") == F.col("k"))).select("item", "text")
-        sets = cut(whole_sets(texts).dropDuplicates(["item"]))
+        who = cut(items.join(needed, "item").select("item", F.col("who.doc_id").alias("d"), F.col("who.key").alias("k")))
+        texts = docs.join(if_few(who, FEW), F.col("doc_id").eqNullSafe(F.col("d")) & (F.col("key") == F.col("k"))).select("item", "text")
+        sets = cut(whole_sets(texts))  # an item whose row is repeated is there as often
         x, y = sets.select(F.col("item").alias("u"), F.col("sh").alias("su")), sets.select(F.col("item").alias("v"), F.col("sh").alias("sv"))
         same = (NUM + DEN) * F.size(F.array_intersect("su", "sv"))
-        return found.join(x, "u").join(y, "v").where(same >= NUM * (F.size("su") + F.size("sv"))).select("u", "v")
+        return cut(found.join(x, "u").join(y, "v").where(same >= NUM * (F.size("su") + F.size("sv"))).select("u", "v").distinct())
+
+    def rooted(df: DataFrame, found: DataFrame) -> DataFrame:
+        known = components(found).withColumnRenamed("node", "item")
+        return df.join(known, "item", "left").withColumn("root", F.coalesce("root", "item"))
+
+    alike = items.select("item", "fp").join(simhash.groups(items.select(F.col("item").alias("doc_id"), "fp")).select("fp", "component_id"), "fp")
+    found = verified(alike.where("item <> component_id").select(F.least("item", "component_id").alias("u"), F.greatest("item", "component_id").alias("v")))
+
+    # All columns pass the one exchange that both the count and the join read.
+    firsts = rows.groupBy("item").agg(F.any_value("n").alias("n"), F.any_value("prefix").alias("prefix"))
+    placed = firsts.select("item", "n", F.posexplode("prefix").alias("pos", "sh")).repartition("sh")
+    sizes = placed.groupBy("sh").agg(F.count(F.lit(1)).alias("m"), *(F.max(c).alias(f"max_{c}") for c in ("item", "n", "pos"))).where("m > 1 AND max_item IS NOT NULL AND max_n >= 0 AND max_pos >= 0")
+    shared = cut(rooted(placed.join(sizes, "sh").select("sh", "item", "n", "pos", "m"), found))
+
+    def pairs(left: DataFrame, right: DataFrame, where: Column | None = None) -> DataFrame:
+        a, b = (df.select("sh", *(F.col(c).alias(s + c) for c in ("item", "n", "pos", "root"))) for s, df in (("a_", left), ("b_", right)))
+        met = a.join(b, "sh").where(possible("a_", "b_") & (F.col("a_root") != F.col("b_root")))
+        met = met if where is None else met.where(where)
+        return met.select(F.least("a_item", "b_item").alias("u"), F.greatest("a_item", "b_item").alias("v")).distinct()
 
-    keep = ["sh", "item", "n", "pos", "bits"]
-    few, many = shared.where(F.col("m") <= crowd).select(*keep), shared.where(F.col("m") > crowd).select(*keep)
+    few, many = shared.where(F.col("m") <= crowd), shared.where(F.col("m") > crowd)
     once = F.col("a_item") < F.col("b_item")
     if many.isEmpty():
-        return verified(pairs(few, few, once))
+        return found.union(verified(pairs(few, few, once)))
     # Ranked by a hash of the item, so that the same items are centres under many shingles.
     rank = F.row_number().over(Window.partitionBy("sh").orderBy(F.xxhash64("item"), "item"))
-    middle = many.withColumn("r", rank).where(F.col("r") <= centres).select(*keep)
-    found = cut(verified(pairs(few, few, once).union(pairs(middle, many)).distinct()))
-    known = cut(components(found))
-    rooted = many.join(known.withColumnRenamed("node", "item"), "item", "left").select(*keep, F.coalesce("root", "item").alias("root"))
-    return found.union(verified(pairs(rooted, rooted, once & (F.col("a_root") != F.col("b_root")))))
+    middle = many.withColumn("r", rank).where(F.col("r") <= centres)
+    found = found.union(verified(pairs(few, few, once).union(pairs(middle, many)).distinct()))
+    many = cut(rooted(many.drop("root"), found))
+    return found.union(verified(pairs(many, many, once)))
 
 
 def groups(rows: DataFrame, docs: DataFrame) -> DataFrame:
