@@ -46,9 +46,11 @@ def near_dedup(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     once; different documents of one doc_id are judged apart."""
     rows = docs.select(F.col("doc_id").cast("long").alias("doc_id"), text_key().alias("key"), "text")
     marked = cut(overlap.marked(rows))
-    found = marked.select("doc_id", "key", "item").join(overlap.groups(marked, rows), "item")
-    first = found.groupBy("root").agg(F.min(F.struct(F.col("doc_id").isNull().alias("none"), "doc_id", "key")).alias("w")).select("w.doc_id", "w.key")
-    kept = matching(docs, first, "left_semi")
+    place = F.struct(F.col("doc_id").isNull().alias("none"), "doc_id", "key")
+    found = cut(marked.select(place.alias("w"), "item").join(overlap.groups(marked, rows), "item").select("w", "root"))
+    first = found.groupBy("root").agg(F.min("w").alias("first"))
+    others = cut(found.join(first, "root").where("w <> first").select("w.doc_id", "w.key").distinct())
+    kept = matching(docs, if_few(others, FEW), "left_anti")
     repeated = marked.groupBy("doc_id", "key").agg(F.count(F.lit(1)).alias("n")).where("n > 1").select("doc_id", "key")
     if repeated.isEmpty():
         return kept
