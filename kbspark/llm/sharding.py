@@ -1,6 +1,7 @@
 """Shards along a Hilbert curve over document metadata. DataFrame functions only.
 
-Several dimensions (by default language, source and size) are quantised to whole numbers; documents are
+Several dimensions (language and source by the rank of their value among all distinct values, size on a logarithmic
+scale from the smallest to the largest) are quantised to whole numbers; documents are
 sorted by the place of their cell on the Hilbert curve, equal texts beside each other, and the sorted run is
 cut into shards of equal counts. Neighbours on the curve are neighbours in every dimension, so each shard's
 (and each file's) minimum and maximum of every dimension stay close, and readers can skip it.
@@ -12,10 +13,12 @@ the last shards are empty.
 
 from __future__ import annotations
 
+import math
+
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from kbspark.llm.common import ranked
+from kbspark.llm.common import if_few, ranked, unused
 
 
 def rotate(x: Column, k: Column, d: int) -> Column:
@@ -61,45 +64,47 @@ def hilbert_index(levels: list[Column], bits: int) -> Column:
     return F.aggregate(corners, state, step, lambda s: s["h"])
 
 
-def text_level(c: Column, bits: int) -> Column:
-    """A level that keeps the order of strings by their first bytes after a common prefix was cut."""
-    code = F.conv(F.rpad(F.substring(F.hex(c.cast("binary")), 1, 10), 10, "0"), 16, 10).cast("long")
-    return F.shiftright(code, 40 - bits).cast("int")
+LEVEL_ROWS = 1_000_000  # distinct values (two numbers each) that are broadcast at most; beyond, the join is a shuffle
+
 
+def with_level(rows: DataFrame, column: str, level: str, bits: int) -> DataFrame:
+    """rows with a level of column by the rank of its value among all distinct values, spread over 1 to 2 ** bits - 1; nulls 0.
 
-def common_prefix(low: str | None, high: str | None) -> int:
-    n = 0
-    for a, b in zip(low or "", high or "", strict=False):
-        if a != b:
-            break
-        n += 1
-    return n
+    With more values than levels, neighbours in the order of strings share one.
+    """
+    value, key = unused("value", rows), unused("key", rows)
+    distinct, n, _ = ranked(rows.select(F.col(column).alias(value)).where(F.col(column).isNotNull()).distinct(), [value])
+    top = (1 << bits) - 1
+    place = (1 + F.floor(F.col("__rank") * top / max(n, 1))).cast("int")
+    levels = distinct.select(F.xxhash64(value).alias(key), place.alias(level)).dropDuplicates([key])
+    made = rows.withColumn(value, F.xxhash64(column)).join(if_few(levels, LEVEL_ROWS), F.col(value) == F.col(key), "left")
+    return made.drop(value, key).withColumn(level, F.when(F.col(column).isNull(), 0).otherwise(F.col(level)))
 
 
 def size_of(text: Column) -> Column:
     return F.coalesce(F.octet_length(text), F.lit(0)).cast("long") + 1
 
 
-def size_level(size: Column, bits: int) -> Column:
-    """Sizes on a logarithmic scale, eight levels for each doubling, from the number's leading bits."""
-    return F.least(F.floor(F.log2(size.cast("double")) * 8), F.lit((1 << bits) - 1)).cast("int")
+def size_level(size: Column, low: int, high: int, bits: int) -> Column:
+    """Sizes on a logarithmic scale from the smallest to the largest."""
+    span = max(math.log2(max(high, 1)) - math.log2(max(low, 1)), 1e-9)
+    level = F.floor((F.log2(size.cast("double")) - math.log2(max(low, 1))) * ((1 << bits) - 1) / span)
+    return F.greatest(F.lit(0), F.least(level, F.lit((1 << bits) - 1))).cast("int")
 
 
 def hilbert_shards(docs: DataFrame, shards: int = 8, bits: int = 9) -> DataFrame:
     """doc_id, size, text_crc32, hilbert, rank, shard and slot of all documents; counts differ by one at most."""
     text = F.coalesce(F.col("text"), F.lit(""))
-    ends = docs.agg(*(f(c).alias(f"{k}_{c}") for c in ("lang", "source") for k, f in (("low", F.min), ("high", F.max)))).first()
-    levels = []
-    for c in ("lang", "source"):
-        skip = common_prefix(ends[f"low_{c}"], ends[f"high_{c}"])
-        levels.append(F.coalesce(text_level(F.substring(F.col(c), skip + 1, 1 << 20), bits), F.lit(0)))
     rows = docs.select(
         F.col("doc_id").cast("long").alias("doc_id"),
         size_of(F.col("text")).alias("size"),
         F.crc32(text.cast("binary")).alias("text_crc32"),
-        *(x.alias(f"__l{i}") for i, x in enumerate(levels)),
+        F.col("lang").alias("lang"),
+        F.col("source").alias("source"),
     )
-    at = [F.col("__l0"), F.col("__l1"), size_level(F.col("size"), bits)]
+    low, high = rows.agg(F.min("size"), F.max("size")).first()
+    rows = with_level(with_level(rows, "lang", "by_lang", bits), "source", "by_source", bits)
+    at = [F.col("by_lang"), F.col("by_source"), size_level(F.col("size"), low or 1, high or 1, bits)]
     rows = rows.select("doc_id", "size", "text_crc32", hilbert_index(at, bits).alias("hilbert"))
     placed, n, _ = ranked(rows, ["hilbert", "size", "text_crc32", "doc_id"])
     each, more = divmod(n, shards)
@@ -117,7 +122,8 @@ def write_shards(sharded: DataFrame, docs: DataFrame, path: str, name: str = "sh
     """
     if name in docs.columns:
         raise ValueError(f"documents have a column {name}: choose another name")
-    at = sharded.select(F.col("doc_id").alias("__d"), F.col("shard").alias(name), F.col("slot").alias("__slot"))
-    placed = docs.join(at, F.col("doc_id").cast("long") == F.col("__d")).withColumn("__file", F.floor(F.col("__slot") / file_rows))
-    dealt = placed.repartition(name, "__file").sortWithinPartitions(name, "__file", "__slot")
-    dealt.drop("__d", "__slot", "__file").write.partitionBy(name).parquet(path)
+    d, slot, file = (unused(x, docs) for x in ("d", "slot", "file"))
+    at = sharded.select(F.col("doc_id").alias(d), F.col("shard").alias(name), F.col("slot").alias(slot))
+    placed = docs.join(at, F.col("doc_id").cast("long") == F.col(d)).withColumn(file, F.floor(F.col(slot) / file_rows))
+    dealt = placed.repartition(name, file).sortWithinPartitions(name, file, slot)
+    dealt.drop(d, slot, file).write.partitionBy(name).parquet(path)

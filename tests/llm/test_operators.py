@@ -222,6 +222,22 @@ def test_written_shards(spark, sf, tmp_path):
         sharding.write_shards(sharding.hilbert_shards(back), back, str(tmp_path / "again"))
 
 
+def test_shards_prune_in_every_dimension(spark, sf, tmp_path):
+    """Minimum and maximum let a reader skip most shards, by language, by source and by size alike."""
+    docs = table(spark, sf.replace("sf0.001", "sf0.01"), "documents")
+    odd = docs.where("doc_id % 50 = 0").selectExpr("-1 - doc_id AS doc_id", "text", "if(doc_id % 100 = 0, '', NULL) AS lang", "if(doc_id % 100 = 0, '', '\u00ffodd') AS source", "n_chars")
+    docs = docs.union(odd)  # odd values don't spoil the levels of the others
+    at = docs.join(sharding.hilbert_shards(docs, shards=64).select("doc_id", "shard", "size"), "doc_id").cache()
+    ends = at.groupBy("shard").agg(*(f(c).alias(f"{k}_{c}") for c in ("lang", "source", "size") for k, f in (("low", F.min), ("high", F.max)))).collect()
+    share = lambda c, v: np.mean([r[f"low_{c}"] is not None and r[f"low_{c}"] <= v <= r[f"high_{c}"] for r in ends])
+    for c, most in (("lang", 0.4), ("source", 0.45), ("size", 0.6)):
+        values = [r[0] for r in at.where(F.col(c).isNotNull()).select(c).distinct().collect()]
+        assert np.mean([share(c, v) for v in values]) < most, c
+    langs, n = at.groupBy("lang").agg(F.countDistinct("shard"), F.count("*")).where("lang IN ('en', 'es', 'de', 'fr')").collect(), at.count()
+    assert all(k < 64 * rows / n + 12 for _, k, rows in langs)  # a language is in few more shards than it fills
+    sharding.write_shards(sharding.hilbert_shards(docs.limit(50)), docs.limit(50).withColumns({"d_": F.lit(1), "slot_": F.lit(2), "__d": F.lit(3)}), str(tmp_path / "clash"))
+
+
 @pytest.mark.parametrize("d,bits", [(2, 4), (3, 3), (4, 2)])
 def test_hilbert_neighbours(spark, d, bits):
     from pyspark.sql import functions as F
