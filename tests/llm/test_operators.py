@@ -644,3 +644,20 @@ def test_licenses_exactly_at_the_threshold(spark):
     assert licenses.bounds(4, 0.8) == (3, 6) and licenses.bounds(6, 0.8) == (4, 9)
     got = licenses.scan(docs_of(spark, ["Notice: released under the MIT License today"])).first()
     assert (got["license"], got["dice"]) == ("MIT", 0.8)
+
+
+def test_whole_licenses(spark, tmp_path):
+    """A real file of each license, its copyright line and all, is found as a text; the same by literals and by joins."""
+    for name, parts in licenses.WHOLE.items():
+        head, *rest = parts if name == "MIT" else ("", *parts)
+        (tmp_path / f"{name}.txt").write_text("\n\n".join([head, "Copyright (c) 2024 Somebody", *rest]).strip())
+    files = sorted(licenses.WHOLE)
+    texts = [(tmp_path / f"{n}.txt").read_text() for n in files] + ["intro words of a readme\n\n" + licenses.MIT_TAIL + "\n\nmore words after it", "no license in here", *ODD]
+    docs = docs_of(spark, texts)
+    got = {r["doc_id"]: r for r in pylist(licenses.scan(docs))}
+    for i, name in enumerate(files):
+        assert (got[i]["license"], got[i]["unit"]) == (name, "text") and got[i]["dice"] >= 0.99, (name, got[i])
+    assert (got[5]["license"], got[5]["unit"]) == ("MIT", "paragraph") and got[6]["license"] is None
+    assert pylist(licenses.scan(docs, literals=0).orderBy("doc_id")) == [got[i] for i in sorted(got)]
+    own = licenses.read_templates(spark, str(tmp_path))
+    assert [n for n, _ in own] == files and [r["license"] for r in licenses.scan(docs, own).orderBy("doc_id").collect()[: len(files)]] == files
