@@ -2,6 +2,7 @@
 
 from __future__ import annotations
 
+import ctypes
 from collections.abc import Iterator
 
 import pyarrow as pa
@@ -19,11 +20,20 @@ def table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
     return spark.read.parquet(f"{sf_dir}/{name}.parquet")
 
 
+def give_back() -> None:
+    """Return to the system what this process has freed: a worker lives on beside the JVM, which needs the memory next."""
+    pa.default_memory_pool().release_unused()
+    if trim := getattr(ctypes.CDLL(None), "malloc_trim", None):
+        trim(0)
+
+
 def slices(batches: Iterator[pa.RecordBatch], rows: int = 256) -> Iterator[pa.RecordBatch]:
     """The batches in short pieces, so that few rows at a time become Python objects."""
     for b in batches:
         for low in range(0, b.num_rows, rows):
             yield b.slice(low, rows)
+        del b
+        give_back()
 
 
 def unused(name: str, *frames: DataFrame) -> str:

@@ -1,8 +1,8 @@
 """Near copies by the exact Jaccard similarity of word shingles, found without losing a pair.
 
 A text's set of five-word shingles is held as 64-bit hashes. Texts of equal sets are one item. SimHash fingerprints
-of these sets, grouped with pivot tables (`simhash`), propose the first pairs, each item with the first of its group;
-those that reach the similarity connect most near copies at a cost that is linear in the items. Fingerprints miss pairs
+of these sets, linked with pivot tables (`simhash`), propose the first pairs, each item with the first of its fingerprint
+and each fingerprint with the least one linked; those that reach the similarity connect most near copies at a cost that is linear in the items. Fingerprints miss pairs
 that are more than a few bits apart, and at a similarity of 0.8 most are; so the items not connected yet are joined by prefix:
 
 Two sets of similarity 4/5 or more share one of their first n - ceil(4n/5) + 1 shingles in any order that is the same for
@@ -34,7 +34,7 @@ from kbspark.operators.components import components
 # Words of a shingle, the similarity as a fraction, longs of parity bits.
 WORDS, NUM, DEN, PARITY = 5, 4, 5, 16
 KNOWN: dict[bytes, int] = {}  # hashes of words met lately
-MOST_KNOWN = 200_000
+MOST_KNOWN = 100_000
 TURNS = np.array([0x9E3779B97F4A7C15, 0xC2B2AE3D27D4EB4F, 0x165667B19E3779F9, 0xD6E8FEB86659FD93, 0xA0761D6478BD642F], np.uint64)
 
 
@@ -180,8 +180,13 @@ def links(rows: DataFrame, docs: DataFrame, crowd: int = 32, centres: int = 4) -
         known = components(found).withColumnRenamed("node", "item")
         return df.join(known, "item", "left").withColumn("root", F.coalesce("root", "item"))
 
-    alike = items.select("item", "fp").join(simhash.groups(items.select(F.col("item").alias("doc_id"), "fp")).select("fp", "component_id"), "fp")
-    found = verified(alike.where("item <> component_id").select(F.least("item", "component_id").alias("u"), F.greatest("item", "component_id").alias("v")))
+    # Each item proposes the first of its fingerprint, and this the first of the least fingerprint linked with its own.
+    firsts = cut(items.groupBy("fp").agg(F.min("item").alias("first")))
+    near = simhash.links(firsts)
+    least = near.union(near.select("b", "a")).groupBy("a").agg(F.min("b").alias("b"))
+    across = least.join(firsts.toDF("a", "x"), "a").join(firsts.toDF("b", "y"), "b").select("x", "y")
+    proposed = items.join(firsts, "fp").where("item <> first").select("item", "first").union(across)
+    found = verified(proposed.select(F.least("item", "first").alias("u"), F.greatest("item", "first").alias("v")).distinct())
 
     # All columns pass the one exchange that both the count and the join read.
     firsts = rows.groupBy("item").agg(F.any_value("n").alias("n"), F.any_value("prefix").alias("prefix"))
