@@ -6,7 +6,7 @@ from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
 from kbspark.functions.text import ngrams, words
-from kbspark.operators.vectors import MAX_QUERIES, cells, ivf, knn
+from kbspark.operators.vectors import knn_blocks
 
 
 def hardness(evals: DataFrame) -> DataFrame:
@@ -55,13 +55,9 @@ def variety_freq(df: DataFrame, keys: list[str]) -> DataFrame:
 def variety_knn(vectors: DataFrame, k: int = 5) -> DataFrame:
     """id and v: mean distance (1 - cosine) to the k nearest others. vectors: id, vec.
 
-    Every row is a query, so beyond the size of a query set rows meet in inverted cells, a few each.
+    Every row is a query; queries go in blocks, so the neighbours are exact at every size.
     """
-    queries = vectors.select(F.col("id").alias("q"), "vec")
-    if vectors.limit(MAX_QUERIES + 1).count() <= MAX_QUERIES:
-        near = knn(queries, vectors, k)
-    else:
-        near = ivf(queries, vectors, k, cells(vectors, 1024), 8)
+    near = knn_blocks(vectors.select(F.col("id").alias("q"), "vec"), vectors, k)
     return near.groupBy(F.col("q").alias("id")).agg(F.round(F.avg(1 - F.col("score")), 6).alias("v"))
 
 

@@ -11,6 +11,7 @@ from __future__ import annotations
 import re
 from collections import deque
 from collections.abc import Iterator
+from functools import reduce
 
 import numpy as np
 import pyarrow as pa
@@ -216,19 +217,33 @@ def match(df: DataFrame, key: str, text: str, automaton: Automaton, mode: str =
 
 
 def match_ngrams(df: DataFrame, key: str, text: str, synonyms: DataFrame, max_len: int = 8, lang: str | None = None) -> DataFrame:
-    """The same matches as an equi-join of token n-grams with the synonyms: key, record_id, first, last."""
+    """The same matches as an equi-join of token n-grams with the synonyms: key, record_id, first, last.
+
+    A synonym of more than max_len tokens is cut into parts of max_len (the last may overlap the one before); it is
+    there where all its parts are, at their places. Without synonyms there are no rows.
+    """
     fold = (lambda w: lemma(w, lang)) if lang else (lambda w: w)
     toks = F.transform(F.regexp_extract_all(F.lower(text), F.lit(TOKEN.pattern.replace(r"[^\W_]", r"[\p{L}\p{N}]").replace(r"[^\W]", r"[\p{L}\p{N}_]")), 0), fold)
     cells = df.select(key, F.explode(F.array(toks)).alias("ws"))
-    pats = synonyms.select("record_id", F.explode(F.array(F.transform(F.regexp_extract_all(F.lower("synonym"), F.lit(r"[\p{L}\p{N}]+(?:_[\p{L}\p{N}]+)*|[\p{L}\p{N}_]+"), 0), fold))).alias("ws"))
-    pats = pats.select("record_id", F.size("ws").alias("n"), F.array_join("ws", " ").alias("g")).where("n > 0")
-    lengths = sorted(r[0] for r in pats.select("n").distinct().collect() if r[0] <= max_len)  # at most max_len numbers
-    out = None
-    for n in lengths:
-        grams = cells.select(key, F.posexplode(ngrams(F.col("ws"), n)).alias("first", "g"))
-        hit = grams.join(pats.where(F.col("n") == n).select("record_id", "g"), "g").select(key, "record_id", "first", (F.col("first") + n).alias("last"))
-        out = hit if out is None else out.union(hit)
-    return out
+    pats = synonyms.select("record_id", "synonym", F.explode(F.array(F.transform(F.regexp_extract_all(F.lower("synonym"), F.lit(r"[\p{L}\p{N}]+(?:_[\p{L}\p{N}]+)*|[\p{L}\p{N}_]+"), 0), fold))).alias("ws"))
+    pats = pats.withColumn("n", F.size("ws")).where("n > 0")
+    gram_at = lambda n: cells.select(key, F.posexplode(ngrams(F.col("ws"), n)).alias("first", "g"))
+    found = []
+    for n in sorted(r[0] for r in pats.where(F.col("n") <= max_len).select("n").distinct().collect()):  # at most max_len numbers
+        mine = pats.where(F.col("n") == n).select("record_id", F.array_join("ws", " ").alias("g"))
+        found.append(gram_at(n).join(mine, "g").select(key, "record_id", "first", (F.col("first") + n).alias("last")))
+    longer = pats.where(F.col("n") > max_len)
+    if not longer.isEmpty():
+        last = F.col("n") - max_len
+        places = F.array_distinct(F.concat(F.sequence(F.lit(0), last, F.lit(max_len)), F.array(last)))
+        parts = longer.select("record_id", "synonym", "n", F.size(places).alias("parts"), F.explode(F.transform(places, lambda i: F.struct(i.alias("off"), F.array_join(F.slice("ws", i + 1, max_len), " ").alias("g")))).alias("x"))
+        hit = gram_at(max_len).join(parts.select("record_id", "synonym", "n", "parts", "x.off", "x.g"), "g").withColumn("first", F.col("first") - F.col("off")).where("first >= 0")
+        whole = hit.groupBy(key, "record_id", "synonym", "n", "parts", "first").agg(F.count_distinct("off").alias("got")).where("got = parts")
+        found.append(whole.select(key, "record_id", "first", (F.col("first") + F.col("n")).alias("last")))
+    if not found:
+        none = [F.col(key), F.lit(None).cast(dict(synonyms.dtypes)["record_id"]).alias("record_id"), F.lit(0).alias("first"), F.lit(0).alias("last")]
+        return df.select(*none).where(F.lit(False))
+    return reduce(DataFrame.union, found)
 
 
 def longest_only(hits: DataFrame, key: str) -> DataFrame:

@@ -5,6 +5,7 @@ from __future__ import annotations
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
+from kbspark.session import cut
 from kbspark.functions.text import words
 
 
@@ -51,7 +52,8 @@ def mine_synonyms(questions: DataFrame, values: DataFrame, at_least: int = 2) ->
     questions: text and gold_sql. A word is credited if it comes with the value at least so often, and nearly
     always when the word occurs.
     """
-    q = questions.select(F.monotonically_increasing_id().alias("q"), "text", F.regexp_extract_all("gold_sql", F.lit("'([^']+)'"), 1).alias("vals"))
+    # Numbered once and kept, so both sides of the join below mean the same question.
+    q = cut(questions.select(F.monotonically_increasing_id().alias("q"), "text", F.regexp_extract_all("gold_sql", F.lit("'([^']+)'"), 1).alias("vals")))
     v = q.select("q", F.explode(F.array_distinct("vals")).alias("value")).join(values, "value", "left_semi")
     w = q.select("q", F.explode(F.array_distinct(words(F.lower("text")))).alias("word"))
     both = v.join(w, "q").groupBy("value", "word").agg(F.count(F.lit(1)).alias("support"))

@@ -3,6 +3,7 @@
 from __future__ import annotations
 
 from collections.abc import Iterator
+from functools import reduce
 
 import numpy as np
 import pandas as pd
@@ -10,6 +11,8 @@ import pyarrow as pa
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
+from kbspark.session import cut
+
 MAX_QUERIES = 100_000
 
 
@@ -33,7 +36,7 @@ def knn(queries: DataFrame, base: DataFrame, k: int, metric: str = "cosine", lea
     its own k best only, so what is shuffled is blocks times k rows a query. queries: q, vec; base: id, vec."""
     rows = queries.select("q", "vec").limit(MAX_QUERIES + 1).collect()
     if len(rows) > MAX_QUERIES:
-        raise ValueError("give the queries in blocks")
+        raise ValueError("give the queries in blocks, or use knn_blocks")
     qid = np.array([r[0] for r in rows], np.int64)
     qv = np.array([r[1] for r in rows], np.float64)
 
@@ -57,6 +60,16 @@ def knn(queries: DataFrame, base: DataFrame, k: int, metric: str = "cosine", lea
     return ranked(base.select(F.col("id").cast("long"), "vec").mapInArrow(run, "q long, id long, score double"), k)
 
 
+def knn_blocks(queries: DataFrame, base: DataFrame, k: int, metric: str = "cosine", leave_self: bool = True, block: int = MAX_QUERIES // 2) -> DataFrame:
+    """knn for any number of queries, exact at every size: blocks of about `block` queries, by a hash of q, one after
+    the other against all of the base; each block's answer is written before the next begins."""
+    parts = -(-queries.count() // block) or 1
+    if parts == 1:
+        return knn(queries, base, k, metric, leave_self)
+    part = lambda i: queries.where(F.pmod(F.xxhash64("q"), F.lit(parts)) == i)
+    return reduce(DataFrame.union, (cut(knn(part(i), base, k, metric, leave_self)) for i in range(parts)))
+
+
 def hyperplanes(dim: int, bits: int, seed: int = 5) -> np.ndarray:
     return np.random.default_rng(seed).standard_normal((bits, dim))
 

@@ -27,8 +27,9 @@ def match_plan(docs: DataFrame, key: str, text: str, synonyms: DataFrame, max_pa
     return dictionary.match_ngrams(docs, key, text, synonyms)
 
 
-def knn_plan(queries: DataFrame, base: DataFrame, k: int, exact_rows: int = 5_000_000, cells: int = 1024, probes: int = 32) -> DataFrame:
-    """Exact blocks up to a size of the base, inverted cells beyond."""
-    if small(base, exact_rows):
-        return vectors.knn(queries, base, k)
+def knn_plan(queries: DataFrame, base: DataFrame, k: int, approximate: bool = False, cells: int = 1024, probes: int = 32) -> DataFrame:
+    """Exact blocks at every size; inverted cells only where the caller asks for an approximate answer, whose recall at
+    given cells and probes `measure.neighbour_recall` tells."""
+    if not approximate:
+        return vectors.knn_blocks(queries, base, k)
     return vectors.ivf(queries, base, k, vectors.cells(base, cells), probes)

@@ -181,7 +181,7 @@ def mmr_top5(spark, sf_dir):
 
 @query()
 def minhash_pairs(spark, sf_dir):
-    return lexical.minhash_pairs(table(spark, sf_dir, "documents"))
+    return lexical.minhash_links(table(spark, sf_dir, "documents"))
 
 
 @query(f"""WITH {QUESTIONS_SQL}, w AS (SELECT q_id, template, lag(q_id, 1) OVER o AS a1, lag(q_id, 2) OVER o AS a2, lag(q_id, 3) OVER o AS a3 FROM questions WINDOW o AS (PARTITION BY template, p, r ORDER BY q_id))

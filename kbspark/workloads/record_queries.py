@@ -42,11 +42,11 @@ def render_columns(spark, sf_dir):
     return records.render(made, "column").select("name", "text")
 
 
-@query("""WITH q AS (SELECT event_id AS q_id, event_type, value FROM events WHERE event_id < 500),
+@query("""WITH q AS (SELECT event_id AS q_id, event_type, value FROM events),
 r(rid, cond) AS (VALUES (1, 'a'), (2, 'b'), (3, 'c'))
 SELECT q_id, rid FROM q, r WHERE (cond = 'a' AND lower(event_type) = 'purchase') OR (cond = 'b' AND value > 50) OR (cond = 'c' AND event_type LIKE 'c%')""")
 def trigger_filter(spark, sf_dir):
-    q = table(spark, sf_dir, "events").where("event_id < 500").select(F.col("event_id").alias("q_id"), "event_type", "value")
+    q = table(spark, sf_dir, "events").select(F.col("event_id").alias("q_id"), "event_type", "value")
     r = spark.createDataFrame([(1, "lower(event_type) = 'purchase'"), (2, "value > 50"), (3, "startswith(event_type, 'c')")], "rid int, trigger string")
     # Three records against the questions: the record side is a literal list.
     pairs = q.withColumn("r", F.explode(F.array(*(F.struct(F.lit(x["rid"]).alias("rid"), F.lit(x["trigger"]).alias("trigger")) for x in r.collect()))))

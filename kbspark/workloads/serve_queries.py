@@ -91,7 +91,7 @@ def _variety(spark, sf_dir):
     return curate.variety_knn(table(spark, sf_dir, "embeddings").select(F.col("vec_id").alias("id"), F.col("embedding").alias("vec")))
 
 
-@query()
+@query(f"WITH {VK} SELECT id, v FROM vk")
 def variety_knn(spark, sf_dir):
     return _variety(spark, sf_dir)
 

@@ -62,13 +62,19 @@ def test_sized_join_broadcasts_only_what_is_small(spark):
 
 def test_plan_choices_agree(spark, sf):
     docs = spark.createDataFrame([(1, "the part art of art"), (2, "no")], "id long, t string")
-    syn = spark.createDataFrame([("r", "art"), ("s", "part art")], "record_id string, synonym string")
+    long = " ".join(f"w{i}" for i in range(20))
+    docs = docs.union(spark.createDataFrame([(3, f"x {long} w0 {long}"), (4, long[:-1]), (5, "w " * 30), (6, None)], "id long, t string"))
+    syn = spark.createDataFrame([("r", "art"), ("s", "part art"), ("t", long), ("u", long.rsplit(" ", 9)[0]), ("v", "w " * 12)], "record_id string, synonym string")
     rows = lambda df: sorted(map(tuple, df.select("id", "record_id", "first", "last").collect()))
     assert rows(plans.match_plan(docs, "id", "t", syn)) == rows(plans.match_plan(docs, "id", "t", syn, max_patterns=0))
+    assert plans.match_plan(docs, "id", "t", syn.limit(0), max_patterns=0).collect() == plans.match_plan(docs, "id", "t", syn.limit(0)).collect() == []
     base = table(spark, sf, "embeddings").select(F.col("vec_id").alias("id"), F.col("embedding").alias("vec"))
     q = base.where("id < 5").withColumnRenamed("id", "q")
     hits = lambda df: sorted((r["q"], r["rank"], r["id"]) for r in df.collect())
-    assert hits(plans.knn_plan(q, base, 5)) == hits(plans.knn_plan(q, base, 5, exact_rows=0, cells=8, probes=8))
+    assert hits(plans.knn_plan(q, base, 5)) == hits(plans.knn_plan(q, base, 5, approximate=True, cells=8, probes=8))
+    from kbspark.operators import vectors
+
+    assert hits(plans.knn_plan(q, base, 5)) == hits(vectors.knn_blocks(q, base, 5, block=2))
 
 
 def test_providers(spark):
@@ -176,7 +182,7 @@ def test_combined_scores(spark):
 
 def test_minhash_recall(spark, sf):
     docs = table(spark, sf, "documents")
-    got = {(r["a"], r["b"]) for r in lexical.minhash_pairs(docs).collect()}
+    got = {(r["a"], r["b"]) for r in lexical.minhash_pairs(lexical.shingle_sets(docs).groupBy("sh").agg(F.min("doc_id").alias("doc_id"))).collect()}
     sets: dict = {}
     for r in docs.orderBy("doc_id").collect():
         w = [x for x in r["text"].lower().split() if x]
@@ -206,3 +212,18 @@ def test_chunks_rejoin(spark, sf):
     c = extract.chunk(docs, 100, 20)
     whole = c.groupBy("doc_id").agg(F.array_join(F.transform(F.sort_array(F.collect_list(F.struct("chunk_no", "chunk"))), lambda x: F.when(x["chunk_no"] == 0, x["chunk"]).otherwise(F.substr(x["chunk"], F.lit(21), F.lit(1000)))), "").alias("t"))
     assert whole.join(docs, "doc_id").where(F.col("t") != F.col("text")).count() == 0
+
+
+def test_minhash_links_count_copies(spark, sf):
+    """Every document has its class and all its links, exact copies included, against brute force."""
+    docs = table(spark, sf, "documents").select("doc_id", "text")
+    docs = docs.union(docs.where("doc_id % 7 = 0").withColumn("doc_id", F.col("doc_id") + 1_000_000))
+    sets = {}
+    for r in docs.collect():
+        w = (r["text"] or "").lower().split()
+        sets[r["doc_id"]] = frozenset(" ".join(w[i : i + 5]) for i in range(max(1, len(w) - 4)))
+    got = {r["doc_id"]: r for r in lexical.minhash_links(docs).collect()}
+    assert set(got) == set(sets)
+    for d, s in sets.items():
+        assert got[d]["class_id"] == min(o for o, t in sets.items() if t == s)
+        assert got[d]["n_links"] == sum(o != d and len(s & t) >= 0.8 * len(s | t) for o, t in sets.items())
