@@ -1,11 +1,12 @@
-"""Questions derived from events and templates, and scripted candidate results."""
+"""Questions derived from events and templates, and the results of candidates that samples write for them."""
 
 from __future__ import annotations
 
-from pyspark.sql import Column, DataFrame, SparkSession
+from pyspark.sql import Column, DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
 from kbspark.sources.tables import table
+from kbspark.workloads.executed import CANDIDATES_SQL, LETTERS, broken, candidate_results
 
 # The templates as text, gold SQL, whether the order counts, difficulty; {p} and {r} are parameters.
 TEMPLATES = [
@@ -55,19 +56,70 @@ e2 AS (SELECT *, CASE template {_cases} WHEN 2 THEN CAST(1995 + turn % 7 AS VARC
 tpl(template, t, difficulty) AS (VALUES {', '.join(f"({i}, '{t[0]}', '{t[3]}')" for i, t in enumerate(TEMPLATES))}),
 questions AS (SELECT q_id, ts, user_id, e2.template AS template, p, r, replace(replace(t, '{{p}}', p), '{{r}}', r) AS text, difficulty FROM e2 JOIN tpl ON e2.template = tpl.template)"""
 
-# Per agreement pattern, the samples of tiers 1 to 3: R is right, E an error, other letters wrong results.
+# Per agreement pattern, the candidates that the samples of tiers 1 to 3 write: R the gold query, E one that
+# doesn't compile, other letters mutations (see executed.LETTERS), which may give the right result all the same.
 PATTERNS = [["RRRR", "RR", "RR"], ["AB", "RRR", "RRR"], ["WW", "RRR", "RRR"], ["EE", "RAR", "RRR"], ["AB", "CD", "RRRF"], ["AB", "CD", "RGHI"], ["EE", "EEE", "EEE"]]
 SAMPLES = [(p, t, i, x, 100 * t + 10 * i + (7 * p + 13 * i) % 50) for p, tiers in enumerate(PATTERNS) for t, xs in enumerate(tiers, 1) for i, x in enumerate(xs, 1)]
 
 
-def sampled_results(spark: SparkSession, sf_dir: str) -> DataFrame:
-    """q_id, tier, sample_no, status, fp, latency_ms for every question, by its agreement pattern."""
-    q = table(spark, sf_dir, "events").select(F.col("event_id").alias("q_id"), (F.col("event_id") % 7).alias("pattern"))
-    known = spark.createDataFrame(SAMPLES, "pattern int, tier int, sample_no int, x string, latency_ms long")
-    out = q.join(F.broadcast(known), "pattern")
-    ok = F.col("x") != "E"
-    return out.select("q_id", "tier", "sample_no", F.when(ok, "ok").otherwise("error").alias("status"), F.when(ok, F.col("x")).alias("fp"), "latency_ms")
+def period_of(at: Column, calendar: bool = False, update_day: int = 10, years_back: int = 24) -> Column:
+    """The month a question means by "this period": the last one that is complete on the update day (or the calendar's)."""
+    late = F.lit(0) if calendar else (F.dayofmonth(at) < update_day).cast("int")
+    months = (F.year(at) - years_back) * 12 + F.month(at) - 1 - late
+    return (F.floor(months / 12) * 100 + months % 12 + 1).cast("string")
+
 
+def sampled_results(spark: SparkSession, sf_dir: str, schema_only: bool = False) -> DataFrame:
+    """q_id, tier, sample_no, status, fp, latency_ms for every question: which candidate a sample writes follows the
+    question's agreement pattern; what it gives is what the candidate gave when run (fp `R` if that equals the gold result).
 
-RESULTS_SQL = f"""sm(pattern, tier, sample_no, x, latency_ms) AS (VALUES {', '.join(map(str, SAMPLES))}),
-results AS (SELECT event_id AS q_id, tier, sample_no, CASE WHEN x = 'E' THEN 'error' ELSE 'ok' END AS status, nullif(x, 'E') AS fp, latency_ms FROM events JOIN sm ON event_id % 7 = pattern)"""
+    schema_only: without a knowledge base an enum's meaning, the period and a metric's formula are guessed wrong.
+    """
+    q = questions(spark, sf_dir)
+    own = F.col("template").isin(3, 9)
+    q = q.select("q_id", "template", F.when(own, period_of(F.col("asked_at"))).otherwise(F.col("p")).alias("p"), F.when(own, period_of(F.col("asked_at"), calendar=True)).otherwise(F.col("p")).alias("guess"), "r", (F.col("q_id") % 7).alias("pattern"))
+    known = spark.createDataFrame(SAMPLES, "pattern int, tier int, sample_no int, x string, latency_ms long")
+    out = q.join(F.broadcast(known), "pattern")
+    letters = F.create_map(*(F.lit(v) for kv in LETTERS.items() for v in kv))
+    variant = F.element_at(letters, F.col("x"))
+    variant = F.when((variant == "c") & F.col("template").isin(4, 7), "a").otherwise(variant)
+    at = F.col("p")
+    if schema_only:
+        variant = F.when(variant != "gold", variant).when(F.col("template") == 0, "c").when(F.col("template") == 9, "a").otherwise(variant)
+        at = F.when(F.col("template") == 3, F.col("guess")).otherwise(at)
+    ran = candidate_results(spark, sf_dir)  # a row for each parameter value of a template: the schema bounds it, not the data
+    gold = ran.where("variant = 'gold'").select("template", "p", "r", "fp")
+    order = Window.partitionBy("template").orderBy("p", "r")
+    first = F.first("fp").over(order.rowsBetween(Window.unboundedPreceding, Window.unboundedFollowing))
+    other = gold.select("template", F.lit("c").alias("variant"), "p", "r", F.coalesce(F.lead("fp").over(order), first).alias("fp"))
+    cands = ran.union(other)
+    none = lambda c: F.coalesce(c, F.lit("none"))
+    out = out.withColumn("variant", variant).withColumn("at", at)
+    out = out.join(cands.select("template", "variant", F.col("p").alias("at"), "r", F.col("fp").alias("got")), ["template", "variant", "at", "r"], "left")
+    out = out.join(gold.withColumnRenamed("fp", "want"), ["template", "p", "r"], "left")
+    ok = F.lit(not broken(spark, sf_dir)) | (F.col("variant") != "e")
+    fp = F.when(none(F.col("got")) == none(F.col("want")), "R").otherwise(none(F.col("got")))
+    return out.select("q_id", "tier", "sample_no", F.when(ok, "ok").otherwise("error").alias("status"), F.when(ok, fp).alias("fp"), "latency_ms")
+
+
+def results_sql(schema_only: bool = False) -> str:
+    months = "((year(ts) - 24) * 12 + month(ts) - 1{})".format
+    as_period = "CAST(CAST(floor({0} / 12) * 100 + {0} % 12 + 1 AS BIGINT) AS VARCHAR)".format
+    effective, calendar = as_period(months(" - CASE WHEN day(ts) < 10 THEN 1 ELSE 0 END")), as_period(months(""))
+    letter = "CASE x " + " ".join(f"WHEN '{k}' THEN '{v}'" for k, v in LETTERS.items()) + " END"
+    variant = f"CASE WHEN {letter} = 'c' AND template IN (4, 7) THEN 'a' ELSE {letter} END"
+    at = "p"
+    if schema_only:
+        variant = f"CASE WHEN {variant} <> 'gold' THEN {variant} WHEN template = 0 THEN 'c' WHEN template = 9 THEN 'a' ELSE 'gold' END"
+        at = "CASE WHEN template = 3 THEN guess ELSE p END"
+    return f"""{CANDIDATES_SQL}, gold AS (SELECT template, p, r, fp FROM cand WHERE variant = 'gold'),
+allc AS (SELECT * FROM cand UNION ALL SELECT template, 'c', p, r, coalesce(lead(fp) OVER (PARTITION BY template ORDER BY p, r), first_value(fp) OVER (PARTITION BY template ORDER BY p, r)) FROM gold),
+sm(pattern, tier, sample_no, x, latency_ms) AS (VALUES {', '.join(map(str, SAMPLES))}),
+asked AS (WITH {QUESTIONS_SQL} SELECT q_id, template, r, CASE WHEN template IN (3, 9) THEN {effective} ELSE p END AS p, CASE WHEN template IN (3, 9) THEN {calendar} ELSE p END AS guess FROM questions),
+smp AS (SELECT q_id, template, p, r, {at} AS at, tier, sample_no, latency_ms, {variant} AS variant FROM asked JOIN sm ON q_id % 7 = pattern),
+results AS (SELECT q_id, tier, sample_no, CASE WHEN smp.variant = 'e' THEN 'error' ELSE 'ok' END AS status, latency_ms,
+  CASE WHEN smp.variant = 'e' THEN NULL WHEN coalesce(allc.fp, 'none') = coalesce(gold.fp, 'none') THEN 'R' ELSE coalesce(allc.fp, 'none') END AS fp
+  FROM smp LEFT JOIN allc ON allc.template = smp.template AND allc.variant = smp.variant AND allc.p = smp.at AND allc.r = smp.r LEFT JOIN gold ON gold.template = smp.template AND gold.p = smp.p AND gold.r = smp.r)"""
+
+
+RESULTS_SQL = results_sql()
