@@ -156,7 +156,7 @@ def parities_allow(u: str, v: str) -> Column:
 FEW = 1_000_000  # items' numbers that are broadcast at most; beyond, the join is a shuffle
 
 
-def links(rows: DataFrame, docs: DataFrame, crowd: int = 32, centres: int = 4) -> DataFrame:
+def links(rows: DataFrame, docs: DataFrame, crowd: int = 4, centres: int = 2) -> DataFrame:
     """u, v: pairs of items of the similarity or more, as many as connect all that are connected by such pairs.
     rows are from marked(docs), kept."""
     who = F.min(F.struct(F.col("doc_id").isNull().alias("none"), "doc_id", "key")).alias("who")

@@ -27,7 +27,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
-from kbspark.llm.common import cut
+from kbspark.llm.common import cut, give_back
 
 PIECES = "doc_id long, piece int, start long, length long, ids_crc32 long"
 
@@ -40,7 +40,7 @@ class Encoder:
     ends with a token that carries the end-of-word mark, which tells them apart again.
     """
 
-    def __init__(self, path: str, chunks: int = 500_000, pretokens: int = 700_000, longest: int = 64):
+    def __init__(self, path: str, chunks: int = 250_000, pretokens: int = 350_000, longest: int = 64):
         import regex
         from tokenizers import Tokenizer
 
@@ -152,6 +152,7 @@ def tokenize(docs: DataFrame, tokenizer: str, end_id: int = 0, max_len: int = 20
                 if with_ids:
                     columns.append(pa.array(out[5], pa.binary()))
                 yield pa.RecordBatch.from_arrays(columns, ["doc_id", "piece", "start", "length", "ids_crc32", "ids"][: len(columns)])
+            give_back()
         gc.enable()
 
     return docs.select(F.col("doc_id").cast("long"), "text").mapInArrow(run, PIECES + (", ids binary" if with_ids else ""))
