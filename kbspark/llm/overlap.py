@@ -8,10 +8,10 @@ that are more than a few bits apart, and at a similarity of 0.8 most are; so the
 Two sets of similarity 4/5 or more share one of their first n - ceil(4n/5) + 1 shingles in any order that is the same for
 all, so items meet under these only. The order puts shingles that a sample of texts often has last, by
 count, and others by hash; what the sample holds changes the work, never the pairs. Pairs under one shingle are
-dropped by bounds that no true pair fails (sizes, places in the order, parity bits of the whole sets), and
-the rest are verified on the whole sets.
+dropped by bounds that no true pair fails (sizes, the number of prefix shingles in common, parity bits of the whole
+sets), and the rest are verified on the whole sets.
 
-Groups under one shingle of more than `crowd` items are compared with a few of their own first; then only
+Items of groups under one shingle of more than `crowd` are compared with a few of their own first; then only
 items that aren't connected yet are compared, so a dense group's pairs are not all listed.
 
 Defined cases: null texts and texts without words are one item; texts of fewer than five words have one shingle.
@@ -139,12 +139,24 @@ def whole_sets(docs: DataFrame) -> DataFrame:
     return docs.select("item", "text").mapInArrow(run, T.StructType([T.StructField("item", T.LongType()), T.StructField("sh", T.ArrayType(T.LongType()))]))
 
 
-def possible(a: str, b: str) -> Column:
-    """No pair of items of the similarity or more fails this in the first shingle that both prefixes have."""
+def sizes_allow(a: str, b: str) -> Column:
+    n, m = F.col(f"{a}n"), F.col(f"{b}n")
+    return DEN * F.least(n, m) >= NUM * F.greatest(n, m)
+
+
+def places_allow(a: str, b: str) -> Column:
+    """No pair of the similarity or more fails this in the first shingle that both prefixes have."""
     f = lambda side, name: F.col(f"{side}{name}")
-    return (DEN * F.least(f(a, "n"), f(b, "n")) >= NUM * F.greatest(f(a, "n"), f(b, "n"))) & (
-        (NUM + DEN) * F.least(f(a, "n") - f(a, "pos"), f(b, "n") - f(b, "pos")) >= NUM * (f(a, "n") + f(b, "n"))
-    )
+    return (NUM + DEN) * F.least(f(a, "n") - f(a, "pos"), f(b, "n") - f(b, "pos")) >= NUM * (f(a, "n") + f(b, "n"))
+
+
+def counts_allow(a: str, b: str) -> Column:
+    """The similarity asks for 4/9 of both sizes in common. Of the set whose prefix ends first in the order, all common
+    shingles in the prefix are in the other's prefix too; so c, the shingles in both prefixes, and what is after the
+    longer set's prefix must reach that."""
+    n, m = F.col(f"{a}n"), F.col(f"{b}n")
+    after = F.floor((NUM * F.greatest(n, m) + DEN - 1) / DEN) - 1
+    return (NUM + DEN) * (F.col("c") + after) >= NUM * (n + m)
 
 
 def parities_allow(u: str, v: str) -> Column:
@@ -156,7 +168,7 @@ def parities_allow(u: str, v: str) -> Column:
 FEW = 1_000_000  # items' numbers that are broadcast at most; beyond, the join is a shuffle
 
 
-def links(rows: DataFrame, docs: DataFrame, crowd: int = 4, centres: int = 2) -> DataFrame:
+def links(rows: DataFrame, docs: DataFrame, crowd: int = 32, centres: int = 2) -> DataFrame:
     """u, v: pairs of items of the similarity or more, as many as connect all that are connected by such pairs.
     rows are from marked(docs), kept."""
     who = F.min(F.struct(F.col("doc_id").isNull().alias("none"), "doc_id", "key")).alias("who")
@@ -194,22 +206,22 @@ def links(rows: DataFrame, docs: DataFrame, crowd: int = 4, centres: int = 2) ->
     sizes = placed.groupBy("sh").agg(F.count(F.lit(1)).alias("m"), *(F.max(c).alias(f"max_{c}") for c in ("item", "n", "pos"))).where("m > 1 AND max_item IS NOT NULL AND max_n >= 0 AND max_pos >= 0")
     shared = cut(rooted(placed.join(sizes, "sh").select("sh", "item", "n", "pos", "m"), found))
 
-    def pairs(left: DataFrame, right: DataFrame, where: Column | None = None) -> DataFrame:
+    def meet(left: DataFrame, right: DataFrame) -> DataFrame:
         a, b = (df.select("sh", *(F.col(c).alias(s + c) for c in ("item", "n", "pos", "root"))) for s, df in (("a_", left), ("b_", right)))
-        met = a.join(b, "sh").where(possible("a_", "b_") & (F.col("a_root") != F.col("b_root")))
-        met = met if where is None else met.where(where)
-        return met.select(F.least("a_item", "b_item").alias("u"), F.greatest("a_item", "b_item").alias("v")).distinct()
-
-    few, many = shared.where(F.col("m") <= crowd), shared.where(F.col("m") > crowd)
-    once = F.col("a_item") < F.col("b_item")
-    if many.isEmpty():
-        return found.union(verified(pairs(few, few, once)))
-    # Ranked by a hash of the item, so that the same items are centres under many shingles.
-    rank = F.row_number().over(Window.partitionBy("sh").orderBy(F.xxhash64("item"), "item"))
-    middle = many.withColumn("r", rank).where(F.col("r") <= centres)
-    found = found.union(verified(pairs(few, few, once).union(pairs(middle, many)).distinct()))
-    many = cut(rooted(many.drop("root"), found))
-    return found.union(verified(pairs(many, many, once)))
+        return a.join(b, "sh").where(sizes_allow("a_", "b_") & (F.col("a_root") != F.col("b_root")))
+
+    many = shared.where(F.col("m") > crowd)
+    if not many.isEmpty():
+        # Ranked by a hash of the item, so that the same items are centres under many shingles.
+        rank = F.row_number().over(Window.partitionBy("sh").orderBy(F.xxhash64("item"), "item"))
+        middle = many.withColumn("r", rank).where(F.col("r") <= centres)
+        star = meet(middle, many).where(places_allow("a_", "b_")).select(F.least("a_item", "b_item").alias("u"), F.greatest("a_item", "b_item").alias("v")).distinct()
+        found = cut(found.union(verified(star)))
+        shared = cut(rooted(shared.drop("root"), found))
+    # How many prefix shingles two items share is counted over all shingles they meet under.
+    met = meet(shared, shared).where("a_item < b_item").groupBy(F.col("a_item").alias("u"), F.col("b_item").alias("v"))
+    pairs = met.agg(F.count(F.lit(1)).alias("c"), F.max("a_n").alias("a_n"), F.max("b_n").alias("b_n")).where(counts_allow("a_", "b_"))
+    return found.union(verified(pairs.select("u", "v")))
 
 
 def groups(rows: DataFrame, docs: DataFrame) -> DataFrame:
