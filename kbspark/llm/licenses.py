@@ -135,14 +135,15 @@ def scan(docs: DataFrame, templates: list[tuple[str, str]] | None = None, thresh
     filed_under = lambda df: df.select(*unit, F.size("grams").alias("n"), F.explode("grams").alias("gram")).join(if_few(postings, FILED), "gram").where(F.col("n").between(F.col("low"), F.col("high")))
     names = dict(zip(unit, ("d", "k", "u", "o"), strict=True))
     same_unit = F.col("doc_id").eqNullSafe(F.col("d")) & (F.col("key") == F.col("k")) & (F.col("unit") == F.col("u")) & (F.col("unit_no") == F.col("o"))
-    if len(needed) <= literals:
-        near = cut(grams.where(F.arrays_overlap("grams", F.array(*map(F.lit, needed)).cast("array<string>"))))
-        pairs = filed_under(near).select(*unit, "template").distinct().withColumnsRenamed(names)
-    else:  # too many for a literal: the units that meet a template are found first, then read again
-        pairs = cut(filed_under(grams).select(*unit, "template").distinct().withColumnsRenamed(names))
-        near = grams.join(pairs.select(*names.values()).distinct(), same_unit, "left_semi")
-    met = near.join(pairs, same_unit).select(*unit, "grams", "template")
     size = sum(len(g) for r in known for g in r["grams"])
+    by_size = [(n, t) for t, (low, high) in {f[1]: f[2:] for f in filed}.items() for n in range(low, high + 1)]
+    if len(needed) <= literals and len(by_size) <= FILED and size <= BYTES:
+        # Few templates: units with a necessary bigram meet all templates of their size at once, in the scan of the texts.
+        near = grams.where(F.arrays_overlap("grams", F.array(*map(F.lit, needed)).cast("array<string>"))).withColumn("n", F.size("grams"))
+        met = near.join(F.broadcast(spark.createDataFrame(by_size, "n int, template int")), "n")
+    else:  # the units that meet a filed template are found first, then read again
+        pairs = cut(filed_under(grams).select(*unit, "template").distinct().withColumnsRenamed(names))
+        met = grams.join(if_few(pairs, FILED), same_unit).select(*unit, "grams", "template")
     same = F.size(F.array_intersect("grams", "tgrams"))
     scored = met.join(F.broadcast(sets) if size <= BYTES else sets, "template").withColumn("dice", F.round(2 * same / (F.size("grams") + F.size("tgrams")), 6)).where(F.col("dice") >= threshold)
     best = F.max_by(F.struct("license", "dice", "unit", "unit_no"), F.struct("dice", F.size("tgrams"), -F.col("template"), -F.col("unit_no"), "unit"))
