@@ -150,3 +150,19 @@ def score(pred: DataFrame, gold: DataFrame, ordered: bool | None = False, beta:
     n = lambda df, name: df.groupBy("case").agg(F.count(F.lit(1)).alias(name))
     rows = n(pred, "np").join(n(gold, "ng"), "case", "full")
     return rows.join(totals, "case", "left").select("case", F.round(F.coalesce("total", F.lit(0.0)) / F.greatest(F.coalesce("np", F.lit(0)), F.coalesce("ng", F.lit(0))), 6).alias("score"))
+
+
+def per_question(pred: DataFrame, gold: DataFrame, cases: DataFrame, beta: float = 2.0) -> DataFrame:
+    """case and score of all questions. cases: case, is_ordered (whether the gold query orders its rows) and failed
+    (whether the predicted query didn't run). A failed one scores 0, a result empty on both sides 1."""
+    parts = []
+    for ordered in (False, True):
+        mine = cases.where(F.coalesce("is_ordered", F.lit(False)) == ordered).select("case")
+        parts.append(score(pred.join(mine, "case", "left_semi"), gold.join(mine, "case", "left_semi"), ordered, beta))
+    scored = cases.join(parts[0].union(parts[1]), "case", "left")
+    return scored.select("case", F.when(F.coalesce("failed", F.lit(False)), 0.0).otherwise(F.coalesce("score", F.lit(1.0))).alias("score"))
+
+
+def final_score(pred: DataFrame, gold: DataFrame, cases: DataFrame, beta: float = 2.0) -> DataFrame:
+    """One row: questions, and the mean row-matching score over them."""
+    return per_question(pred, gold, cases, beta).agg(F.count(F.lit(1)).alias("questions"), F.round(F.avg("score"), 6).alias("score"))

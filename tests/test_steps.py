@@ -227,3 +227,16 @@ def test_minhash_links_count_copies(spark, sf):
     for d, s in sets.items():
         assert got[d]["class_id"] == min(o for o, t in sets.items() if t == s)
         assert got[d]["n_links"] == sum(o != d and len(s & t) >= 0.8 * len(s | t) for o, t in sets.items())
+
+
+def test_final_score(spark):
+    """Order counts only where the gold query orders; empty on both sides is 1, a failed query 0."""
+    from kbspark.operators import rowmatch
+
+    rows = [["a", "1"], ["b", "2"], ["c", "3"]]
+    frame = lambda xs: spark.createDataFrame([(c, i, r) for c, rs in xs for i, r in enumerate(rs)], "case long, row_no long, cells array<string>")
+    gold, pred = frame([(1, rows), (2, rows), (4, rows), (5, rows)]), frame([(1, rows[::-1]), (2, rows[::-1]), (5, rows)])
+    cases = spark.createDataFrame([(1, False, False), (2, True, False), (3, None, False), (4, False, False), (5, True, True)], "case long, is_ordered boolean, failed boolean")
+    got = {r["case"]: r["score"] for r in rowmatch.per_question(pred, gold, cases).collect()}
+    assert got == {1: 1.0, 2: pytest.approx(1 / 3, abs=1e-5), 3: 1.0, 4: 0.0, 5: 0.0}
+    assert tuple(rowmatch.final_score(pred, gold, cases).first()) == (5, pytest.approx((1 + 1 / 3 + 1) / 5, abs=1e-5))
