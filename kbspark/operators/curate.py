@@ -75,3 +75,15 @@ def random_choice(df: DataFrame, top: int, key: str = "id") -> DataFrame:
 def messages(turns: DataFrame, key: str = "conv_id") -> DataFrame:
     """key and messages: the ordered turns of each conversation as JSON."""
     return turns.groupBy(key).agg(F.to_json(F.transform(F.sort_array(F.collect_list(F.struct("turn", "role", "text"))), lambda t: F.struct(t["role"].alias("role"), t["text"].alias("content")))).alias("messages"))
+
+
+def training_messages(examples: DataFrame, trace: bool = True, records: bool = True) -> DataFrame:
+    """q_id and messages of examples (q_id, question, sql, trace, records: texts): a system turn of the records, if asked
+    for and there are any, the question, and the answer, after its trace if asked for. Null texts are empty."""
+    turn = lambda role, text: F.struct(F.lit(role).alias("role"), text.alias("content"))
+    text = lambda c: F.coalesce(F.col(c), F.lit(""))
+    answer = F.when(F.lit(trace) & (F.length(text("trace")) > 0), F.concat(text("trace"), F.lit("\n\n"), text("sql"))).otherwise(text("sql"))
+    turns = F.array(turn("user", text("question")), turn("assistant", answer))
+    known = F.array(turn("system", F.array_join("records", "\n")))
+    with_known = F.when(F.lit(records) & (F.size(F.coalesce("records", F.array().cast("array<string>"))) > 0), F.concat(known, turns)).otherwise(turns)
+    return examples.select("q_id", F.to_json(with_known).alias("messages"))

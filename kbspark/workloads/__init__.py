@@ -2,7 +2,7 @@
 
 from importlib import import_module
 
-MODULES = ["record_queries", "profile_queries", "finance_queries", "index_queries", "serve_queries", "operator_queries", "experiments"]
+MODULES = ["record_queries", "profile_queries", "finance_queries", "index_queries", "serve_queries", "operator_queries", "experiments", "tool_queries"]
 
 
 def load_all() -> None:
