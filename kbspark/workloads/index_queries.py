@@ -5,7 +5,7 @@ from __future__ import annotations
 from pyspark.sql import Window
 from pyspark.sql import functions as F
 
-from kbspark.operators import dictionary, fusion, lexical, measure, vectors
+from kbspark.operators import dictionary, fusion, lexical, measure, serializers, vectors
 from kbspark.registry import query
 from kbspark.session import cut
 from kbspark.sources.tables import ENUM_SQL, enum_values, table
@@ -98,16 +98,11 @@ def seed_questions(spark, sf_dir):
     return questions(spark, sf_dir).groupBy("template").agg(F.count(F.lit(1)).alias("n"), F.count_distinct("text").alias("n_texts"))
 
 
-@query(f"WITH {QUESTIONS_SQL}, tp(template, t) AS (SELECT template, t FROM tpl) SELECT q_id, replace(replace(t, '{{p}}', '[ENUM]'), '{{r}}', '[ENUM]') AS sketch FROM questions JOIN tp USING (template) WHERE template <> 2")
+@query(f"""WITH {QUESTIONS_SQL} SELECT q_id, replace(replace(regexp_replace(t, '\\b[0-9]+\\b', '[VALUE]', 'g'), '{{p}}', CASE template WHEN 2 THEN '[VALUE]' ELSE '[ENUM]' END), '{{r}}', '[ENUM]') AS sketch FROM questions JOIN tpl USING (template)""")
 def sketch_basic(spark, sf_dir):
-    """The text with every dictionary hit replaced by its type: found values, longest first."""
-    q = questions(spark, sf_dir).where("template <> 2").select("q_id", "text")
-    hits = question_hits(spark, sf_dir, "longest").groupBy("q_id").agg(F.sort_array(F.collect_list(F.struct("start", "stop"))).alias("hs"))
-    j = q.join(hits, "q_id", "left")
-    start = F.struct(F.lit("").alias("out"), F.lit(0).alias("at"))
-    step = lambda s, h: F.struct(F.concat(s["out"], F.substr("text", s["at"] + 1, h["start"] - s["at"]), F.lit("[ENUM]")).alias("out"), h["stop"].alias("at"))
-    made = F.aggregate(F.coalesce("hs", F.array().cast("array<struct<start:int,stop:int>>")), start, step, lambda s: F.concat(s["out"], F.substr("text", s["at"] + 1, F.length("text"))))
-    return j.select("q_id", made.alias("sketch"))
+    """The text with every dictionary hit replaced by its type, and other numerals by [VALUE]: found values, longest first."""
+    hits = question_hits(spark, sf_dir, "longest").select("q_id", "start", "stop", F.lit("ENUM").alias("label"))
+    return serializers.sketch(questions(spark, sf_dir), hits)
 
 
 @query(f"WITH {QHITS} SELECT q_id, string_agg(DISTINCT value, '|' ORDER BY value) AS tags FROM qh GROUP BY q_id")
