@@ -108,6 +108,23 @@ def facts(spark: SparkSession, sql: str) -> list[tuple[str, str, str, str, str]]
     return sorted(set(out))
 
 
+# Functions whose change tells the cause of an error, by that cause.
+CALLS = {"null": ("coalesce", "ifnull", "nvl", "isnull", "isnotnull"), "concat": ("concat", "concat_ws"), "computation": ("avg", "sum", "count", "min", "max")}
+
+
+def calls(spark: SparkSession, sql: str) -> list[tuple[str, str, str, str, str]]:
+    """Like facts: the functions of CALLS that a query has, and by what round number it scales; none if it doesn't parse."""
+    import re
+
+    try:
+        texts = [n.simpleString(1000) for n in walk(plan_of(spark, sql))]
+    except Exception:  # facts says that it doesn't parse
+        return []
+    known = {f for fs in CALLS.values() for f in fs}
+    out = {("call", "", f, "", "") for t in texts for f in re.findall(r"(\w+)\(", t) if f in known}
+    return sorted(out | {("scale", "", "", op, n) for t in texts for op, n in re.findall(r" ([*/]) (10+(?:\.0+)?)\b", t)})
+
+
 def verify_facts(found: DataFrame, catalog: DataFrame, enums: DataFrame) -> DataFrame:
     """Adds whether the table, column or value of each fact exists."""
     cols = catalog.select(F.col("col").alias("column"), F.lit(True).alias("c")).distinct()

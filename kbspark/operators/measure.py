@@ -5,6 +5,8 @@ from __future__ import annotations
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
+from kbspark.operators.extract import CALLS
+
 # Results to compare are rows of (case, row_no, cells): an array of canonical cells per row.
 
 
@@ -87,11 +89,11 @@ def cost(runs: DataFrame) -> DataFrame:
     return runs.groupBy("tier").agg(F.count(F.lit(1)).alias("samples"), F.percentile("latency_ms", 0.5).alias("p50"), F.round(F.avg("latency_ms"), 3).alias("mean"))
 
 
-CAUSES = ["predicate", "enum", "column", "format", "columns", "ties", "distinct", "null", "reasoning"]
+CAUSES = ["invalid", "predicate", "enum", "column", "format", "ratio", "null", "concat", "computation", "columns", "ties", "distinct", "reasoning"]
 
 
 def classify(gold: list[tuple], pred: list[tuple]) -> str:
-    """The cause of an error from the facts of two queries, as a decision list over their differences."""
+    """The cause of an error from the facts (and calls) of two queries, as a decision list over their differences."""
     g, p = set(gold), set(pred)
     only_g, only_p = g - p, p - g
     if any(f[0] == "error" for f in p):
@@ -106,6 +108,12 @@ def classify(gold: list[tuple], pred: list[tuple]) -> str:
             if gv == pv:
                 return "column"
         return "predicate"
+    if any(f[0] == "scale" for f in only_g | only_p):
+        return "ratio"
+    changed = {f[2] for f in only_g | only_p if f[0] == "call"}
+    for cause, names in CALLS.items():
+        if changed.intersection(names):
+            return cause
     clauses = {f[4] for f in only_g | only_p if f[0] == "clause"}
     if "distinct" in clauses:
         return "distinct"

@@ -126,7 +126,9 @@ def paraphrase(text: str) -> list[str]:
 
 
 def mutations() -> list[tuple[str, str, str]]:
-    """(mutation, gold, changed) on one query: each should be put in its own class."""
+    """(mutation, gold, changed): each should be put in its own class."""
+    share = "SELECT n_name, avg(c_acctbal) / 1000 AS v FROM customer JOIN nation ON c_nationkey = n_nationkey GROUP BY n_name"
+    part = "SELECT p_name, p_mfgr, coalesce(p_size, 0) AS s FROM part"
     g = "SELECT DISTINCT p_name, p_size FROM part WHERE p_brand = 'Brand#11' AND p_type = 'ECONOMY STEEL' ORDER BY p_name, p_size LIMIT 5"
     return [
         ("drop_predicate", g, g.replace(" AND p_type = 'ECONOMY STEEL'", "")),
@@ -138,5 +140,11 @@ def mutations() -> list[tuple[str, str, str]]:
         ("drop_distinct", g, g.replace("DISTINCT ", "")),
         ("no_limit", g, g.replace(" LIMIT 5", "")),
         ("syntax", g, g.replace("FROM part", "FORM part x y")),
+        ("ratio_as_percent", share.replace("/ 1000", ""), share.replace("/ 1000", "* 100")),
+        ("other_unit", share, share.replace("/ 1000", "/ 100")),
+        ("sum_for_avg", share, share.replace("avg(", "sum(")),
+        ("null_kept", part, part.replace("coalesce(p_size, 0)", "p_size")),
+        ("null_dropped", part, part + " WHERE p_size IS NOT NULL"),
+        ("concatenated", part, part.replace("p_name, p_mfgr", "concat(p_name, p_mfgr)")),
         ("same", g, g),
     ]

@@ -233,7 +233,8 @@ def error_causes(spark, sf_dir):
     """cause and n: mutated queries by the class that their facts are put in."""
     rows = []
     for op, gold, bad in synth.mutations():
-        rows.append((op, measure.classify(extract.facts(spark, gold), extract.facts(spark, bad))))
+        seen = [extract.facts(spark, q) + extract.calls(spark, q) for q in (gold, bad)]
+        rows.append((op, measure.classify(*seen)))
     return spark.createDataFrame(rows, "mutation string, cause string").groupBy("mutation", "cause").agg(F.count(F.lit(1)).alias("n"))
 
 

@@ -227,7 +227,8 @@ def test_commented_sql(spark, sf):
 
 def test_causes(spark):
     want = {"drop_predicate": "predicate", "add_predicate": "predicate", "swap_enum": "enum", "swap_column": "column", "bad_format": "format", "extra_column": "columns", "drop_distinct": "distinct", "no_limit": "ties", "syntax": "invalid", "same": "same"}
-    got = {op: measure.classify(extract.facts(spark, g), extract.facts(spark, b)) for op, g, b in synth.mutations()}
+    want |= {"ratio_as_percent": "ratio", "other_unit": "ratio", "sum_for_avg": "computation", "null_kept": "null", "null_dropped": "null", "concatenated": "concat"}
+    got = {op: measure.classify(extract.facts(spark, g) + extract.calls(spark, g), extract.facts(spark, b) + extract.calls(spark, b)) for op, g, b in synth.mutations()}
     assert got == want
 
 
