@@ -31,14 +31,19 @@ def ranked(df: DataFrame, k: int) -> DataFrame:
     return df.withColumn("rank", F.row_number().over(w)).where(F.col("rank") <= k)
 
 
-def knn(queries: DataFrame, base: DataFrame, k: int, metric: str = "cosine", leave_self: bool = True) -> DataFrame:
-    """q, id, score, rank. The stated query set (checked size) goes to every block of the base; each block sends on
-    its own k best only, so what is shuffled is blocks times k rows a query. queries: q, vec; base: id, vec."""
-    rows = queries.select("q", "vec").limit(MAX_QUERIES + 1).collect()
-    if len(rows) > MAX_QUERIES:
-        raise ValueError("give the queries in blocks, or use knn_blocks")
-    qid = np.array([r[0] for r in rows], np.int64)
-    qv = np.array([r[1] for r in rows], np.float64)
+def nearest(s: np.ndarray, k: int) -> tuple[np.ndarray, np.ndarray]:
+    """Rows and columns of each row's k largest finite scores; ties are cut by column."""
+    k, s = min(k, s.shape[1]), np.where(np.isnan(s), -np.inf, s)
+    edge = np.partition(s, s.shape[1] - k, axis=1)[:, s.shape[1] - k, None]
+    above, tied = s > edge, s == edge
+    at, col = np.nonzero(above | (tied & (tied.cumsum(1) <= k - above.sum(1)[:, None])))
+    keep = np.isfinite(s[at, col])
+    return at[keep], col[keep]
+
+
+def best_in_batches(qid: np.ndarray, qv: np.ndarray, k: int, metric: str, leave_self: bool, place=None, visits: np.ndarray | None = None):
+    """What a worker does with batches of id and vec: the k best of each batch for every query, or, with place (a cell
+    of each vector) and visits (queries by cells, whether one visits the other), of each cell for the queries that visit it."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for b in batches:
@@ -46,58 +51,76 @@ def knn(queries: DataFrame, base: DataFrame, k: int, metric: str = "cosine", lea
                 continue
             ids = b.column(0).to_numpy()
             v = np.array(b.column(1).to_pylist(), np.float64)
-            for low in range(0, len(qid), 512):
-                s = np.round(score(qv[low : low + 512], v, metric), 6)
-                if leave_self:
-                    s[qid[low : low + 512][:, None] == ids[None]] = -np.inf
-                n = min(k, len(ids))
-                # Ties at the edge are cut by id, as in the final ranking.
-                order = np.lexsort((np.broadcast_to(ids, s.shape), -s), axis=1)[:, :n]
-                best = np.take_along_axis(s, order, 1).ravel()
-                keep = np.isfinite(best)
-                yield pa.RecordBatch.from_arrays([pa.array(np.repeat(qid[low : low + 512], n)[keep]), pa.array(ids[order.ravel()][keep]), pa.array(best[keep])], ["q", "id", "score"])
+            by = np.argsort(ids, kind="stable")  # ties are cut by column, so by id
+            ids, v = ids[by], v[by]
+            of = np.zeros(len(ids), np.int64) if place is None else place(v)
+            for cell in np.unique(of):
+                mine = np.flatnonzero(of == cell)
+                asked = np.arange(len(qid)) if visits is None else np.flatnonzero(visits[:, cell])
+                for low in range(0, len(asked), 512):
+                    some = asked[low : low + 512]
+                    s = np.round(score(qv[some], v[mine], metric), 6)
+                    if leave_self:
+                        s[qid[some][:, None] == ids[mine][None]] = -np.inf
+                    at, col = nearest(s, k)
+                    yield pa.RecordBatch.from_arrays([pa.array(qid[some][at]), pa.array(ids[mine][col]), pa.array(s[at, col])], ["q", "id", "score"])
+
+    return run
+
+
+def collected(queries: DataFrame, most: int = MAX_QUERIES) -> tuple[np.ndarray, np.ndarray]:
+    rows = queries.select("q", "vec").limit(most + 1).collect()
+    if len(rows) > most:
+        raise ValueError("give the queries in blocks, or use knn_blocks")
+    return np.array([r[0] for r in rows], np.int64), np.array([r[1] for r in rows], np.float64)
+
 
+def scored(base: DataFrame, run, k: int) -> DataFrame:
     return ranked(base.select(F.col("id").cast("long"), "vec").mapInArrow(run, "q long, id long, score double"), k)
 
 
+def knn(queries: DataFrame, base: DataFrame, k: int, metric: str = "cosine", leave_self: bool = True) -> DataFrame:
+    """q, id, score, rank. The stated query set (checked size) goes to every block of the base; each block sends on
+    its own k best only, so what is shuffled is blocks times k rows a query. queries: q, vec; base: id, vec."""
+    return scored(base, best_in_batches(*collected(queries), k, metric, leave_self), k)
+
+
 def knn_blocks(queries: DataFrame, base: DataFrame, k: int, metric: str = "cosine", leave_self: bool = True, block: int = MAX_QUERIES // 2) -> DataFrame:
     """knn for any number of queries, exact at every size: blocks of about `block` queries, by a hash of q, one after
     the other against all of the base; each block's answer is written before the next begins."""
+    return by_blocks(queries, block, lambda some: knn(some, base, k, metric, leave_self))
+
+
+def by_blocks(queries: DataFrame, block: int, answer) -> DataFrame:
+    """The answers to blocks of about `block` queries, one written after the other; to all at once if they are no more."""
     parts = -(-queries.count() // block) or 1
     if parts == 1:
-        return knn(queries, base, k, metric, leave_self)
+        return answer(queries)
     part = lambda i: queries.where(F.pmod(F.xxhash64("q"), F.lit(parts)) == i)
-    return reduce(DataFrame.union, (cut(knn(part(i), base, k, metric, leave_self)) for i in range(parts)))
+    return reduce(DataFrame.union, (cut(answer(part(i))) for i in range(parts)))
 
 
 def hyperplanes(dim: int, bits: int, seed: int = 5) -> np.ndarray:
     return np.random.default_rng(seed).standard_normal((bits, dim))
 
 
-def bucket(df: DataFrame, planes: np.ndarray, key: str) -> DataFrame:
-    """key, vec and bucket: the signs of the vector against the hyperplanes, as a number."""
-    dot = lambda p: F.aggregate(F.zip_with("vec", F.array(*map(F.lit, p)), lambda a, b: a.cast("double") * b), F.lit(0.0), lambda s, x: s + x)
-    code = sum((F.when(dot([float(x) for x in p]) >= 0, 1 << i).otherwise(0) for i, p in enumerate(planes)), F.lit(0))
-    return df.select(key, "vec", code.alias("bucket"))
-
-
-def cosine(a: str, b: str):
-    d = lambda x, y: F.aggregate(F.zip_with(x, y, lambda i, j: i.cast("double") * j.cast("double")), F.lit(0.0), lambda s, v: s + v)
-    return d(a, b) / F.sqrt(d(a, a) * d(b, b))
-
-
-def ann(queries: DataFrame, base: DataFrame, k: int, bits: int = 4, probes: int | None = None, dim: int = 64) -> DataFrame:
-    """Approximate neighbours: a query visits its bucket and those within some flipped bits; exact scores follow.
+def ann(queries: DataFrame, base: DataFrame, k: int, bits: int = 4, probes: int | None = None, dim: int = 64, block: int = MAX_QUERIES // 2) -> DataFrame:
+    """Approximate neighbours: a query visits its bucket (the signs of its vector against the hyperplanes, as a number)
+    and those within some flipped bits; exact scores follow, in blocks of vectors of one bucket.
 
     probes is the number of bits that may differ (default 2); with all bits the answer is exact.
     """
     flips = 2 if probes is None else probes
     planes = hyperplanes(dim, bits)
-    near = [m for m in range(1 << bits) if m.bit_count() <= flips]
-    q = bucket(queries, planes, "q").select("q", F.col("vec").alias("qv"), F.explode(F.array(*(F.col("bucket").bitwiseXOR(F.lit(m)) for m in near))).alias("bucket"))
-    b = bucket(base, planes, "id").select("id", F.col("vec").alias("bv"), "bucket")
-    hit = q.join(b, "bucket").where("q <> id").select("q", "id", F.round(cosine("qv", "bv"), 6).alias("score"))
-    return ranked(hit, k)
+    near = np.array([[(m ^ c).bit_count() <= flips for c in range(1 << bits)] for m in range(1 << bits)])
+    place = lambda v: ((v @ planes.T >= 0) << np.arange(bits)).sum(1)
+
+    def answer(some: DataFrame) -> DataFrame:
+        qid, qv = collected(some)
+        visits = near[place(qv)] if len(qid) else None
+        return scored(base, best_in_batches(qid, qv, k, "cosine", True, place, visits), k)
+
+    return by_blocks(queries, block, answer)
 
 
 def cells(base: DataFrame, n_cells: int, sample: int = 10_000, seed: int = 1, rounds: int = 8) -> np.ndarray:
@@ -112,24 +135,18 @@ def cells(base: DataFrame, n_cells: int, sample: int = 10_000, seed: int = 1, ro
     return c
 
 
-def ivf(queries: DataFrame, base: DataFrame, k: int, centres: np.ndarray, probes: int = 4) -> DataFrame:
+def ivf(queries: DataFrame, base: DataFrame, k: int, centres: np.ndarray, probes: int = 4, block: int = MAX_QUERIES // 2) -> DataFrame:
     """Approximate neighbours by inverted cells: every base row is in one cell; queries visit the nearest few."""
+    place = lambda v: score(v, centres, "cosine").argmax(1)
+
+    def answer(some: DataFrame) -> DataFrame:
+        qid, qv = collected(some)
+        visits = np.zeros((len(qid), len(centres)), bool)
+        if len(qid):
+            np.put_along_axis(visits, np.argsort(-score(qv, centres, "cosine"), axis=1)[:, :probes], True, axis=1)
+        return scored(base, best_in_batches(qid, qv, k, "cosine", True, place, visits), k)
 
-    def assign(n: int, name: str):
-        def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-            for b in batches:
-                v = np.array(b.column(1).to_pylist(), np.float64).reshape(b.num_rows, -1)
-                if not b.num_rows:
-                    continue
-                order = np.argsort(-score(v, centres, "cosine"), axis=1)[:, :n]
-                at = pa.array(np.repeat(np.arange(b.num_rows), order.shape[1]))
-                yield pa.RecordBatch.from_arrays([b.column(0).take(at), b.column(1).take(at), pa.array(order.ravel().astype(np.int32))], [name, "vec", "cell"])
-
-        return run
-
-    q = queries.select(F.col("q").cast("long"), F.col("vec").cast("array<double>")).mapInArrow(assign(probes, "q"), "q long, vec array<double>, cell int").withColumnRenamed("vec", "qv")
-    b = base.select(F.col("id").cast("long"), F.col("vec").cast("array<double>")).mapInArrow(assign(1, "id"), "id long, vec array<double>, cell int").withColumnRenamed("vec", "bv")
-    return ranked(q.join(b, "cell").where("q <> id").select("q", "id", F.round(cosine("qv", "bv"), 6).alias("score")), k)
+    return by_blocks(queries, block, answer)
 
 
 def mmr(candidates: DataFrame, k: int, lam: float = 0.7) -> DataFrame:

@@ -245,3 +245,19 @@ def test_final_score(spark):
 def test_skew_join_repeats_and_broadcasts_no_customer(spark, sf):
     plan = entry.QUERIES["skew_join"](spark, sf)._jdf.queryExecution().executedPlan().toString()
     assert "BroadcastExchange" not in plan and "Generate" not in plan
+
+
+def test_approximate_neighbours_are_scored_in_blocks(spark, sf):
+    """No row is made for a pair, ties are cut by id, and blocks of queries change nothing."""
+    from kbspark.operators import vectors
+
+    base = table(spark, sf, "embeddings").select(F.col("vec_id").alias("id"), F.col("embedding").alias("vec"))
+    base = base.union(base.where("id < 30").select(F.col("id") + 1000, "vec"))
+    q = base.where("id < 20").withColumnRenamed("id", "q")
+    cells = vectors.cells(base, 8)
+    rows = lambda df: sorted((r["q"], r["rank"], r["id"], r["score"]) for r in df.collect())
+    for got in (vectors.ann(q, base, 5, 4, 4), vectors.ivf(q, base, 5, cells, 8)):
+        assert "Join" not in got._jdf.queryExecution().optimizedPlan().toString()
+        assert rows(got) == rows(vectors.knn(q, base, 5))
+    assert rows(vectors.ann(q, base, 5, 4, 2)) == rows(vectors.ann(q, base, 5, 4, 2, block=7))
+    assert vectors.ann(q.where("q < 0"), base, 5).count() == vectors.ivf(q.where("q < 0"), base, 5, cells).count() == 0
