@@ -10,10 +10,11 @@ from kbspark.models import RuleProvider, definition_rule
 from kbspark.operators import curate, dictionary, extract, measure, records, retrieve
 from kbspark.registry import query
 from kbspark.session import cut
-from kbspark.sources.tables import catalog, table
+from kbspark.sources.tables import table
 from kbspark.workloads.index_queries import phrases, question_hits
 from kbspark.workloads.questions import QUESTIONS_SQL, RESULTS_SQL, questions, sampled_results
 from kbspark.workloads.record_queries import enum_kb
+from kbspark.workloads.tool_queries import scanned_columns
 
 
 def dictionary_scale(spark, sf_dir, sizes=(100, 10_000, 50_000), kinds=("double", "trie")):
@@ -124,4 +125,4 @@ def asof_experience(spark, sf_dir):
 
 @query("SELECT count(*) AS n_columns FROM (VALUES (2), (3), (5), (4), (6), (6), (11), (6)) t(n), range(0, n)", key="catalog_columns")
 def catalog_columns(spark, sf_dir):
-    return catalog(spark, sf_dir).agg(F.count(F.lit(1)).alias("n_columns"))
+    return scanned_columns(spark, sf_dir).agg(F.count(F.lit(1)).alias("n_columns"))

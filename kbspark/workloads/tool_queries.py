@@ -21,6 +21,11 @@ def _columns(spark, sf_dir):
     return union([tools.column_info(table(spark, sf_dir, t), t, cs) for t, cs in known.items() if cs])
 
 
+def scanned_columns(spark, sf_dir):
+    """tab and col of all columns of the given tables, read by Spark's tasks."""
+    return tools.scanned(union([tools.column_info(table(spark, sf_dir, t), t) for t in STAR]))
+
+
 @query(f"SELECT tab, col, kind, n_rows, n_null, tab || '.' || col || ': ' || kind || ', ' || n_null || ' nulls' AS info FROM ({COLUMNS_SQL})")
 def column_info(spark, sf_dir):
     return _columns(spark, sf_dir)

@@ -25,3 +25,14 @@ def test_training_messages(spark):
     read = lambda **k: {r[0]: [(m["role"], m["content"]) for m in json.loads(r[1])] for r in curate.training_messages(rows, **k).collect()}
     assert read() == {1: [("system", "x\ny"), ("user", "q"), ("assistant", "t\n\ns")], 2: [("user", "q"), ("assistant", "s")]}
     assert read(trace=False, records=False) == {i: [("user", "q"), ("assistant", "s")] for i in (1, 2)}
+
+
+def test_scanned_columns_read_every_column(spark, sf):
+    """Each column's values are counted by tasks, and the columns are those of the schemas."""
+    from kbspark.sources.tables import catalog
+    from kbspark.workloads.tool_queries import scanned_columns
+
+    made = scanned_columns(spark, sf)
+    assert sorted(map(tuple, made.collect())) == sorted((r["tab"], r["col"]) for r in catalog(spark, sf).collect())
+    plan = made.groupBy().count()._jdf.queryExecution().executedPlan().toString()
+    assert all(c in plan for c in ("l_shipdate", "props", "c_address"[:2], "o_orderdate"))
