@@ -6,7 +6,7 @@ from pyspark.sql import functions as F
 
 from kbspark.operators import serializers, tools
 from kbspark.registry import query
-from kbspark.sources.tables import ENUM_SQL, STAR, catalog, enum_values, table, union
+from kbspark.sources.tables import ENUM_SQL, STAR, enum_values, table, union
 from kbspark.workloads.index_queries import question_hits
 from kbspark.workloads.profile_queries import CAT, NUM, TIMES
 from kbspark.workloads.questions import QUESTIONS_SQL, questions
@@ -51,7 +51,7 @@ vg AS (SELECT DISTINCT value, substr(value, i, 3) AS g FROM (SELECT value, unnes
 sc AS (SELECT keyword, value, round(count(*) / any_value(n), 6) AS score FROM kg JOIN vg USING (g) JOIN (SELECT keyword, count(*) AS n FROM kg GROUP BY 1) USING (keyword) GROUP BY keyword, value)
 SELECT * FROM (SELECT keyword, value, score, row_number() OVER (PARTITION BY keyword ORDER BY score DESC, value) AS rank FROM sc) WHERE rank <= 5""")
 def fuzzy_column_top5(spark, sf_dir):
-    return tools.fuzzy_column(spark.createDataFrame([(w,) for w in ASKED], "keyword string"), catalog(spark, sf_dir))
+    return tools.fuzzy_column(spark.createDataFrame([(w,) for w in ASKED], "keyword string"), scanned_columns(spark, sf_dir))
 
 
 @query(f"""WITH enums AS ({ENUM_SQL}), lb AS (SELECT val, '[' || upper(min(col)) || ' as ENUM]' AS label FROM enums GROUP BY val), {QUESTIONS_SQL}
