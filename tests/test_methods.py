@@ -211,9 +211,10 @@ def test_time_formats(spark):
 
 
 def test_published_error_shares(spark):
-    import __spark_entry__ as e
+    from kbspark.workloads.serve_queries import PRINTED, error_shares
 
-    got = {r["difficulty"]: (r["error_share"], r["diff"]) for r in e.QUERIES["error_share_printed"](spark, "").collect()}
+    printed = spark.createDataFrame(PRINTED, "difficulty string, share double, ex double")
+    got = {r["difficulty"]: (r["error_share"], r["diff"]) for r in error_shares(printed).collect()}
     assert got == {"simple": (19.5, -10.3), "moderate": (52.2, 2.5), "challenging": (28.3, 7.8)}
 
 
