@@ -218,6 +218,14 @@ def test_published_error_shares(spark):
     assert got == {"simple": (19.5, -10.3), "moderate": (52.2, 2.5), "challenging": (28.3, 7.8)}
 
 
+def test_published_ranks(spark):
+    from kbspark.workloads.serve_queries import PUBLISHED, ranked_accuracies
+
+    made = ranked_accuracies(spark.createDataFrame(PUBLISHED, "dataset string, row_no int, n int, ex double"))
+    got = {(r["dataset"], r["row_no"]): (r["rank"], r["gap"]) for r in made.collect()}
+    assert got["first", 8] == (1, 0.0) and got["first", 1] == (8, 4.03) and got["second", 5] == (3, 4.8)
+
+
 def test_commented_sql(spark, sf):
     synth.views(spark, sf, ["orders"])
     sql = "SELECT o_orderstatus, count(*) AS n FROM orders WHERE o_totalprice > 5 GROUP BY o_orderstatus ORDER BY n"
