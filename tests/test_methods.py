@@ -226,6 +226,21 @@ def test_published_ranks(spark):
     assert got["first", 8] == (1, 0.0) and got["first", 1] == (8, 4.03) and got["second", 5] == (3, 4.8)
 
 
+def test_error_causes_count_questions(spark, sf):
+    """n against DuckDB running the same statements for every question."""
+    import __spark_entry__ as e
+    import duckdb
+    from kbspark.workloads.questions import RESULTS_SQL
+
+    con = duckdb.connect()
+    con.execute("SET TimeZone='UTC'")
+    for t in ("region", "nation", "customer", "supplier", "part", "orders", "lineitem", "events"):
+        con.execute(f"CREATE VIEW {t} AS SELECT * FROM '{sf}/{t}.parquet'")
+    want = con.execute(f"""WITH {RESULTS_SQL} SELECT a.template || v.variant, count(*) FILTER (c.fp IS DISTINCT FROM g.fp) FROM asked a CROSS JOIN (VALUES ('a'), ('b'), ('d')) v(variant)
+        LEFT JOIN cand c ON c.template = a.template AND c.variant = v.variant AND c.p = a.p AND c.r = a.r LEFT JOIN gold g ON g.template = a.template AND g.p = a.p AND g.r = a.r GROUP BY ALL""").fetchall()
+    assert {r["mutation"]: r["n"] for r in e.QUERIES["error_causes"](spark, sf).collect()} == dict(want)
+
+
 def test_commented_sql(spark, sf):
     synth.views(spark, sf, ["orders"])
     sql = "SELECT o_orderstatus, count(*) AS n FROM orders WHERE o_totalprice > 5 GROUP BY o_orderstatus ORDER BY n"
