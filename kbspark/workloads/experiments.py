@@ -3,13 +3,14 @@
 from __future__ import annotations
 
 import time
+from itertools import islice
 
 from pyspark.sql import functions as F
 
 from kbspark.models import RuleProvider, definition_rule
 from kbspark.operators import curate, dictionary, extract, measure, records, retrieve
 from kbspark.registry import query
-from kbspark.session import cut
+from kbspark.session import keep
 from kbspark.sources.tables import table
 from kbspark.workloads.index_queries import phrases, question_hits
 from kbspark.workloads.questions import QUESTIONS_SQL, RESULTS_SQL, questions, sampled_results
@@ -17,31 +18,39 @@ from kbspark.workloads.record_queries import enum_kb
 from kbspark.workloads.tool_queries import scanned_columns
 
 
-def dictionary_scale(spark, sf_dir, sizes=(100, 10_000, 50_000), kinds=("double", "trie")):
+AT_ONCE = 5  # automata that a worker holds
+
+
+def dictionary_scale(spark, sf_dir, sizes=(100, 10_000, 50_000), kinds=("double", "trie"), part=dictionary.PART):
     """kind, patterns, hits, build_seconds, match_seconds, bytes: filler patterns are added to the benchmark's phrases;
-    the phrases' hits stay the same and matching time stays flat. The size None takes all distinct words of the documents."""
+    the phrases' hits stay the same and matching time stays flat. The size None takes all distinct words of the documents.
+    More than `part` patterns are in several automata, built one after the other; bytes are those of all."""
     base = phrases(spark, sf_dir)
     filler = table(spark, sf_dir, "documents").select(F.explode(F.split(F.lower("text"), r"[^\p{L}]+")).alias("w")).where("length(w) > 3").distinct().orderBy("w")
     rows = []
-    docs = cut(table(spark, sf_dir, "documents").select("doc_id", "text"))
+    docs = keep(dictionary.tokens(table(spark, sf_dir, "documents"), "text"), "tokens")
     for n in sizes:
-        more = (filler if n is None else filler.limit(n)).select((-F.row_number().over(_by_word())).cast("long").alias("record_id"), F.concat("w", F.lit(" qqq")).alias("synonym"))
+        # Numbered down in the order of the words, without gathering them.
+        more = (filler if n is None else filler.limit(n)).select((-F.monotonically_increasing_id() - 1).alias("record_id"), F.concat("w", F.lit(" qqq")).alias("synonym"))
+        synonyms = keep(base.union(more), "synonyms")
         for kind in kinds:
-            t = time.time()
-            a = dictionary.build(base.union(more), kind)
-            built = time.time() - t
-            t = time.time()
-            hits = dictionary.match(docs, "doc_id", "text", a).count()
-            rows.append((kind, len(a.ids), hits, built, time.time() - t, a.bytes()))
+            made, patterns, size, hits, built, matched = dictionary.build_parts(synonyms, kind, part), 0, 0, 0, 0.0, 0.0
+            while True:
+                t, some = time.time(), []
+                for a in islice(made, AT_ONCE):
+                    patterns, size = patterns + len(a.ids), size + a.bytes()
+                    some.append(spark.sparkContext.broadcast(a))
+                built, t = built + time.time() - t, time.time()
+                if not some:
+                    break
+                hits += dictionary.count_matches(docs, some)
+                matched += time.time() - t
+                for x in some:
+                    x.destroy()
+            rows.append((kind, patterns, hits, built, matched, size))
     return spark.createDataFrame(rows, "kind string, patterns int, hits long, build_seconds double, match_seconds double, bytes long")
 
 
-def _by_word():
-    from pyspark.sql import Window
-
-    return Window.partitionBy(F.lit(0)).orderBy("w")  # at most the largest size of the experiment
-
-
 @query(key="dictionary_scale")
 def dictionary_scale_query(spark, sf_dir):
     return dictionary_scale(spark, sf_dir, (100, 5_000, None)).select("kind", "patterns", "hits", "bytes")

@@ -261,3 +261,10 @@ def test_approximate_neighbours_are_scored_in_blocks(spark, sf):
         assert rows(got) == rows(vectors.knn(q, base, 5))
     assert rows(vectors.ann(q, base, 5, 4, 2)) == rows(vectors.ann(q, base, 5, 4, 2, block=7))
     assert vectors.ann(q.where("q < 0"), base, 5).count() == vectors.ivf(q.where("q < 0"), base, 5, cells).count() == 0
+
+
+def test_dictionary_scale_in_parts(spark, sf):
+    """Several automata have the patterns and hits of one."""
+    whole = dictionary_scale(spark, sf, (2000,)).collect()
+    parts = dictionary_scale(spark, sf, (2000,), part=150).collect()
+    assert [(r["kind"], r["patterns"], r["hits"]) for r in parts] == [(r["kind"], r["patterns"], r["hits"]) for r in whole]
