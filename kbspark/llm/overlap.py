@@ -11,8 +11,10 @@ count, and others by hash; what the sample holds changes the work, never the pai
 dropped by bounds that no true pair fails (sizes, the number of prefix shingles in common, parity bits of the whole
 sets), and the rest are verified on the whole sets.
 
-Items of groups under one shingle of more than `crowd` are compared with a few of their own first; then only
-items that aren't connected yet are compared, so a dense group's pairs are not all listed.
+Items of groups under one shingle of more than `crowd` are compared with a few of their own first, those that have
+least of their own: what copies with changes were made from. Then only items that aren't connected yet are compared, so
+a dense group's pairs are not all listed; in such groups the join itself drops pairs by parity bits, so that copies too
+far from each other aren't listed either.
 
 Defined cases: null texts and texts without words are one item; texts of fewer than five words have one shingle.
 """
@@ -20,6 +22,7 @@ Defined cases: null texts and texts without words are one item; texts of fewer t
 from __future__ import annotations
 
 from collections.abc import Iterator
+from functools import reduce
 
 import numpy as np
 import pyarrow as pa
@@ -28,11 +31,11 @@ from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
 from kbspark.llm import simhash
-from kbspark.llm.common import cut, if_few, slices
+from kbspark.llm.common import cut, if_few, rest, slices
 from kbspark.operators.components import components
 
-# Words of a shingle, the similarity as a fraction, longs of parity bits.
-WORDS, NUM, DEN, PARITY = 5, 4, 5, 16
+# Words of a shingle, the similarity as a fraction, longs of parity bits, and as many as crowded groups are joined with.
+WORDS, NUM, DEN, PARITY, FOLDED = 5, 4, 5, 16, 8
 KNOWN: dict[bytes, int] = {}  # hashes of words met lately
 MOST_KNOWN = 100_000
 TURNS = np.array([0x9E3779B97F4A7C15, 0xC2B2AE3D27D4EB4F, 0x165667B19E3779F9, 0xD6E8FEB86659FD93, 0xA0761D6478BD642F], np.uint64)
@@ -159,12 +162,25 @@ def counts_allow(a: str, b: str) -> Column:
     return (NUM + DEN) * (F.col("c") + after) >= NUM * (n + m)
 
 
-def parities_allow(u: str, v: str) -> Column:
+def folded(bits: Column) -> Column:
+    """Parity bits of fewer cells: each holds the shingles of PARITY / FOLDED of the former, so it is odd if an odd number of these is."""
+    return F.array(*(reduce(Column.bitwiseXOR, (bits[k] for k in range(i, PARITY, FOLDED))) for i in range(FOLDED)))
+
+
+def parities_allow(u: str, v: str, longs: int = PARITY) -> Column:
     """No such pair's parity bits differ in more places than its sets may."""
-    differ = sum((F.bit_count(F.col(f"{u}bits")[i].bitwiseXOR(F.col(f"{v}bits")[i])) for i in range(1, PARITY)), F.bit_count(F.col(f"{u}bits")[0].bitwiseXOR(F.col(f"{v}bits")[0])))
+    differ = sum((F.bit_count(F.col(f"{u}bits")[i].bitwiseXOR(F.col(f"{v}bits")[i])) for i in range(1, longs)), F.bit_count(F.col(f"{u}bits")[0].bitwiseXOR(F.col(f"{v}bits")[0])))
     return (NUM + DEN) * differ <= (DEN - NUM) * (F.col(f"{u}n") + F.col(f"{v}n"))
 
 
+def meet(left: DataFrame, right: DataFrame) -> DataFrame:
+    """Pairs under one shingle; rows that carry folded parity bits are held against them here, before a row is made."""
+    kept = [c for c in ("item", "n", "pos", "root", "bits") if c in right.columns]
+    a, b = (df.select("sh", *(F.col(c).alias(s + c) for c in kept)) for s, df in (("a_", left), ("b_", right)))
+    pairs = a.join(b, "sh").where(sizes_allow("a_", "b_") & (F.col("a_root") != F.col("b_root")))
+    return pairs.where(parities_allow("a_", "b_", FOLDED)) if "bits" in kept else pairs
+
+
 FEW = 1_000_000  # items' numbers that are broadcast at most; beyond, the join is a shuffle
 
 
@@ -183,6 +199,7 @@ def links(rows: DataFrame, docs: DataFrame, crowd: int = 32, centres: int = 2) -
         needed = found.select(F.explode(F.array("u", "v")).alias("item")).distinct()
         who = cut(items.join(needed, "item").select("item", F.col("who.doc_id").alias("d"), F.col("who.key").alias("k")))
         texts = docs.join(if_few(who, FEW), F.col("doc_id").eqNullSafe(F.col("d")) & (F.col("key") == F.col("k"))).select("item", "text")
+        rest(docs.sparkSession)
         sets = cut(whole_sets(texts))  # an item whose row is repeated is there as often
         x, y = sets.select(F.col("item").alias("u"), F.col("sh").alias("su")), sets.select(F.col("item").alias("v"), F.col("sh").alias("sv"))
         same = (NUM + DEN) * F.size(F.array_intersect("su", "sv"))
@@ -206,20 +223,23 @@ def links(rows: DataFrame, docs: DataFrame, crowd: int = 32, centres: int = 2) -
     sizes = placed.groupBy("sh").agg(F.count(F.lit(1)).alias("m"), *(F.max(c).alias(f"max_{c}") for c in ("item", "n", "pos"))).where("m > 1 AND max_item IS NOT NULL AND max_n >= 0 AND max_pos >= 0")
     shared = cut(rooted(placed.join(sizes, "sh").select("sh", "item", "n", "pos", "m"), found))
 
-    def meet(left: DataFrame, right: DataFrame) -> DataFrame:
-        a, b = (df.select("sh", *(F.col(c).alias(s + c) for c in ("item", "n", "pos", "root"))) for s, df in (("a_", left), ("b_", right)))
-        return a.join(b, "sh").where(sizes_allow("a_", "b_") & (F.col("a_root") != F.col("b_root")))
-
-    many = shared.where(F.col("m") > crowd)
-    if not many.isEmpty():
-        # Ranked by a hash of the item, so that the same items are centres under many shingles.
-        rank = F.row_number().over(Window.partitionBy("sh").orderBy(F.xxhash64("item"), "item"))
+    few, many = shared.where(F.col("m") <= crowd), shared.where(F.col("m") > crowd)
+    crowded = not many.isEmpty()
+    if crowded:
+        # Centres have the largest share of crowded shingles: a copy's changes are shingles of its own, and these come first
+        # in its prefix. Then by a hash of the item, so that the same items are centres under many shingles.
+        share = many.groupBy("item").agg((F.count(F.lit(1)) / F.any_value("n")).alias("share"))
+        known = items.join(share, "item").select("item", "share", folded(F.col("bits")).alias("bits"))
+        many = cut(many.join(known, "item"))
+        rank = F.row_number().over(Window.partitionBy("sh").orderBy(F.desc("share"), F.xxhash64("item"), "item"))
         middle = many.withColumn("r", rank).where(F.col("r") <= centres)
         star = meet(middle, many).where(places_allow("a_", "b_")).select(F.least("a_item", "b_item").alias("u"), F.greatest("a_item", "b_item").alias("v")).distinct()
         found = cut(found.union(verified(star)))
-        shared = cut(rooted(shared.drop("root"), found))
-    # How many prefix shingles two items share is counted over all shingles they meet under.
-    met = meet(shared, shared).where("a_item < b_item").groupBy(F.col("a_item").alias("u"), F.col("b_item").alias("v"))
+        few, many = cut(rooted(few.drop("root"), found)), cut(rooted(many.drop("root", "share"), found))
+    # How many prefix shingles two items share is counted over all shingles they meet under. A pair that parity bits drop in
+    # crowded groups is no link, so it may be counted short elsewhere.
+    met = [meet(x, x).where("a_item < b_item").select("a_item", "b_item", "a_n", "b_n") for x in ([few, many] if crowded else [few])]
+    met = reduce(DataFrame.union, met).groupBy(F.col("a_item").alias("u"), F.col("b_item").alias("v"))
     pairs = met.agg(F.count(F.lit(1)).alias("c"), F.max("a_n").alias("a_n"), F.max("b_n").alias("b_n")).where(counts_allow("a_", "b_"))
     return found.union(verified(pairs.select("u", "v")))
 
