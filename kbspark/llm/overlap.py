@@ -13,8 +13,8 @@ sets), and the rest are verified on the whole sets.
 
 Items of groups under one shingle of more than `crowd` are compared with a few of their own first, those that have
 least of their own: what copies with changes were made from. Then only items that aren't connected yet are compared, so
-a dense group's pairs are not all listed; in such groups the join itself drops pairs by parity bits, so that copies too
-far from each other aren't listed either.
+a dense group's pairs are not all listed; in such groups the join itself drops pairs by parity bits, as many as the texts'
+sizes ask for, so that texts too far from each other aren't listed either, however long they are.
 
 Defined cases: null texts and texts without words are one item; texts of fewer than five words have one shingle.
 """
@@ -34,8 +34,9 @@ from kbspark.llm import simhash
 from kbspark.llm.common import cut, if_few, rest, slices
 from kbspark.operators.components import components
 
-# Words of a shingle, the similarity as a fraction, longs of parity bits, and as many as crowded groups are joined with.
-WORDS, NUM, DEN, PARITY, FOLDED = 5, 4, 5, 16, 8
+# Words of a shingle, the similarity as a fraction, longs of parity bits, as many as crowded groups are first held
+# against, and at most so many for long texts, so that a row stays small.
+WORDS, NUM, DEN, PARITY, FOLDED, WIDEST = 5, 4, 5, 16, 8, 512
 KNOWN: dict[bytes, int] = {}  # hashes of words met lately
 MOST_KNOWN = 100_000
 TURNS = np.array([0x9E3779B97F4A7C15, 0xC2B2AE3D27D4EB4F, 0x165667B19E3779F9, 0xD6E8FEB86659FD93, 0xA0761D6478BD642F], np.uint64)
@@ -70,12 +71,18 @@ def prefix_length(n: int) -> int:
     return n - (NUM * n + DEN - 1) // DEN + 1
 
 
-def parity(sh: np.ndarray) -> np.ndarray:
-    """For each of 64 * PARITY cells, whether an odd number of shingles is in it; two sets differ in as many shingles at least as these differ in bits."""
-    odd = np.bincount((sh >> np.uint64(20)).astype(np.int64) & (64 * PARITY - 1), minlength=64 * PARITY) & 1
+def parity(sh: np.ndarray, longs: int = PARITY) -> np.ndarray:
+    """For each of 64 * longs cells, whether an odd number of shingles is in it; two sets differ in as many shingles at least as these differ in bits."""
+    odd = np.bincount((sh >> np.uint64(20)).astype(np.int64) & (64 * longs - 1), minlength=64 * longs) & 1
     return np.packbits(odd.astype(np.uint8)).view(np.int64)
 
 
+def wide_parity(sh: np.ndarray) -> np.ndarray:
+    """Parity bits of four to eight cells a shingle, a power of two of longs; none where PARITY longs are as many."""
+    longs = min(WIDEST, 1 << max(0, (len(sh) - 1) // 16).bit_length())
+    return parity(sh, longs) if longs > PARITY else np.zeros(0, np.int64)
+
+
 def frequent(docs: DataFrame, texts: int = 5_000, least: int = 3, most: int = 200_000) -> tuple[np.ndarray, np.ndarray]:
     """Shingles that many texts of a sample have, sorted, and in how many: only for the order."""
     share = min(1.0, texts / max(1, docs.count()))
@@ -103,7 +110,7 @@ def fingerprint(sh: np.ndarray) -> int:
 
 
 def marked(docs: DataFrame) -> DataFrame:
-    """doc_id, key, item (a hash of the shingle set), n (its size), fp, prefix and bits of all rows (columns doc_id, key, text)."""
+    """doc_id, key, item (a hash of the shingle set), n (its size), fp, prefix, bits and wide of all rows (columns doc_id, key, text)."""
     often, times = frequent(docs)
 
     def first(sh: np.ndarray) -> np.ndarray:
@@ -123,11 +130,11 @@ def marked(docs: DataFrame) -> DataFrame:
             firsts = [first(s).view(np.int64) for s in sets]
             listed = lambda xs: pa.ListArray.from_arrays(pa.array(np.cumsum([0, *map(len, xs)]), pa.int32()), pa.array(np.concatenate(xs)))
             yield pa.RecordBatch.from_arrays(
-                [b.column(0), b.column(1), pa.array(item), pa.array(np.fromiter(map(len, sets), np.int32)), pa.array([fingerprint(s) for s in sets], pa.int64()), listed(firsts), listed([parity(s) for s in sets])],
-                ["doc_id", "key", "item", "n", "fp", "prefix", "bits"],
+                [b.column(0), b.column(1), pa.array(item), pa.array(np.fromiter(map(len, sets), np.int32)), pa.array([fingerprint(s) for s in sets], pa.int64()), listed(firsts), listed([parity(s) for s in sets]), listed([wide_parity(s) for s in sets])],
+                ["doc_id", "key", "item", "n", "fp", "prefix", "bits", "wide"],
             )
 
-    return docs.select("doc_id", "key", "text").mapInArrow(run, "doc_id long, key long, item long, n int, fp long, prefix array<long>, bits array<long>")
+    return docs.select("doc_id", "key", "text").mapInArrow(run, "doc_id long, key long, item long, n int, fp long, prefix array<long>, bits array<long>, wide array<long>")
 
 
 def whole_sets(docs: DataFrame) -> DataFrame:
@@ -173,15 +180,33 @@ def parities_allow(u: str, v: str, longs: int = PARITY) -> Column:
     return (NUM + DEN) * differ <= (DEN - NUM) * (F.col(f"{u}n") + F.col(f"{v}n"))
 
 
+def fine_allow(u: str, v: str) -> Column:
+    """As parities_allow, by all bits that both have: sizes that are allowed are a power of two apart at most, and the longer bits are folded once."""
+    x, y = F.col(f"{u}fine"), F.col(f"{v}fine")
+    halves = lambda z: (F.slice(z, 1, F.shiftright(F.size(z), 1)), F.slice(z, F.shiftright(F.size(z), 1) + 1, F.shiftright(F.size(z), 1)))
+    fit = lambda z, w: F.when(F.size(z) > F.size(w), F.zip_with(*halves(z), Column.bitwiseXOR)).otherwise(z)
+    differ = F.aggregate(F.zip_with(fit(x, y), fit(y, x), lambda p, q: F.bit_count(p.bitwiseXOR(q))), F.lit(0), Column.__add__)
+    return (NUM + DEN) * differ <= (DEN - NUM) * (F.col(f"{u}n") + F.col(f"{v}n"))
+
+
 def meet(left: DataFrame, right: DataFrame) -> DataFrame:
-    """Pairs under one shingle; rows that carry folded parity bits are held against them here, before a row is made."""
-    kept = [c for c in ("item", "n", "pos", "root", "bits") if c in right.columns]
+    """Pairs under one shingle; rows that carry parity bits are held against them here, before a row is made."""
+    kept = [c for c in ("item", "n", "pos", "root", "bits", "fine") if c in right.columns]
     a, b = (df.select("sh", *(F.col(c).alias(s + c) for c in kept)) for s, df in (("a_", left), ("b_", right)))
-    pairs = a.join(b, "sh").where(sizes_allow("a_", "b_") & (F.col("a_root") != F.col("b_root")))
-    return pairs.where(parities_allow("a_", "b_", FOLDED)) if "bits" in kept else pairs
+    allowed = sizes_allow("a_", "b_") & (F.col("a_root") != F.col("b_root"))
+    if "bits" in kept:
+        allowed &= parities_allow("a_", "b_", FOLDED) & fine_allow("a_", "b_")  # the dearest last
+    return a.join(b, "sh").where(allowed)
 
 
 FEW = 1_000_000  # items' numbers that are broadcast at most; beyond, the join is a shuffle
+LINKS = 200_000  # pairs whose groups the driver finds at most; beyond, rounds of joins do
+CENTRES = 10_000  # centres that are broadcast at most, each with its parity bits
+
+
+def roots(found: DataFrame) -> DataFrame:
+    """item and root (a number of the group) of all items on the pairs found."""
+    return if_few(components(found, few=LINKS).withColumnRenamed("node", "item"), 2 * LINKS)
 
 
 def links(rows: DataFrame, docs: DataFrame, crowd: int = 32, centres: int = 2) -> DataFrame:
@@ -206,8 +231,7 @@ def links(rows: DataFrame, docs: DataFrame, crowd: int = 32, centres: int = 2) -
         return cut(found.join(x, "u").join(y, "v").where(same >= NUM * (F.size("su") + F.size("sv"))).select("u", "v").distinct())
 
     def rooted(df: DataFrame, found: DataFrame) -> DataFrame:
-        known = components(found).withColumnRenamed("node", "item")
-        return df.join(known, "item", "left").withColumn("root", F.coalesce("root", "item"))
+        return df.join(roots(found), "item", "left").withColumn("root", F.coalesce("root", "item"))
 
     # Each item proposes the first of its fingerprint, and this the first of the least fingerprint linked with its own.
     firsts = cut(items.groupBy("fp").agg(F.min("item").alias("first")))
@@ -229,10 +253,11 @@ def links(rows: DataFrame, docs: DataFrame, crowd: int = 32, centres: int = 2) -
         # Centres have the largest share of crowded shingles: a copy's changes are shingles of its own, and these come first
         # in its prefix. Then by a hash of the item, so that the same items are centres under many shingles.
         share = many.groupBy("item").agg((F.count(F.lit(1)) / F.any_value("n")).alias("share"))
-        known = items.join(share, "item").select("item", "share", folded(F.col("bits")).alias("bits"))
-        many = cut(many.join(known, "item"))
+        wide = rows.groupBy("item").agg(F.any_value("wide").alias("wide"), F.any_value("bits").alias("bits")).join(share, "item")
+        fine = F.when(F.size("wide") > 0, F.col("wide")).otherwise(F.col("bits")).alias("fine")
+        many = cut(many.join(wide.select("item", "share", folded(F.col("bits")).alias("bits"), fine), "item"))
         rank = F.row_number().over(Window.partitionBy("sh").orderBy(F.desc("share"), F.xxhash64("item"), "item"))
-        middle = many.withColumn("r", rank).where(F.col("r") <= centres)
+        middle = if_few(cut(many.withColumn("r", rank).where(F.col("r") <= centres)), CENTRES)
         star = meet(middle, many).where(places_allow("a_", "b_")).select(F.least("a_item", "b_item").alias("u"), F.greatest("a_item", "b_item").alias("v")).distinct()
         found = cut(found.union(verified(star)))
         few, many = cut(rooted(few.drop("root"), found)), cut(rooted(many.drop("root", "share"), found))
@@ -246,5 +271,4 @@ def links(rows: DataFrame, docs: DataFrame, crowd: int = 32, centres: int = 2) -
 
 def groups(rows: DataFrame, docs: DataFrame) -> DataFrame:
     """item and root (a number of the group) of all items of rows, which are from marked(docs), kept."""
-    found = components(links(rows, docs)).withColumnRenamed("node", "item")
-    return rows.select("item").distinct().join(found, "item", "left").select("item", F.coalesce("root", "item").alias("root"))
+    return rows.select("item").distinct().join(roots(links(rows, docs)), "item", "left").select("item", F.coalesce("root", "item").alias("root"))
