@@ -3,7 +3,6 @@
 from __future__ import annotations
 
 import time
-from itertools import islice
 
 from pyspark.sql import functions as F
 
@@ -18,15 +17,13 @@ from kbspark.workloads.record_queries import enum_kb
 from kbspark.workloads.tool_queries import scanned_columns
 
 
-AT_ONCE = 5  # automata that a worker holds
-
-
 def dictionary_scale(spark, sf_dir, sizes=(100, 10_000, 50_000), kinds=("double", "trie"), part=dictionary.PART):
     """kind, patterns, hits, build_seconds, match_seconds, bytes: filler patterns are added to the benchmark's phrases;
     the phrases' hits stay the same and matching time stays flat. The size None takes all distinct words of the documents.
-    More than `part` patterns are in several automata, built one after the other; bytes are those of all."""
+    More than `part` patterns are in several automata, built by tasks; bytes are those of all."""
     base = phrases(spark, sf_dir)
-    filler = table(spark, sf_dir, "documents").select(F.explode(F.split(F.lower("text"), r"[^\p{L}]+")).alias("w")).where("length(w) > 3").distinct().orderBy("w")
+    filler = table(spark, sf_dir, "documents").select(F.explode(F.split(F.lower("text"), r"[^\p{L}]+")).alias("w")).where("length(w) > 3").distinct()
+    filler = keep(filler, "filler").orderBy("w")
     rows = []
     docs = keep(dictionary.tokens(table(spark, sf_dir, "documents"), "text"), "tokens")
     for n in sizes:
@@ -34,19 +31,18 @@ def dictionary_scale(spark, sf_dir, sizes=(100, 10_000, 50_000), kinds=("double"
         more = (filler if n is None else filler.limit(n)).select((-F.monotonically_increasing_id() - 1).alias("record_id"), F.concat("w", F.lit(" qqq")).alias("synonym"))
         synonyms = keep(base.union(more), "synonyms")
         for kind in kinds:
-            made, patterns, size, hits, built, matched = dictionary.build_parts(synonyms, kind, part), 0, 0, 0, 0.0, 0.0
-            while True:
-                t, some = time.time(), []
-                for a in islice(made, AT_ONCE):
-                    patterns, size = patterns + len(a.ids), size + a.bytes()
-                    some.append(spark.sparkContext.broadcast(a))
-                built, t = built + time.time() - t, time.time()
-                if not some:
-                    break
-                hits += dictionary.count_matches(docs, some)
-                matched += time.time() - t
-                for x in some:
-                    x.destroy()
+            t, patterns, size, hits = time.time(), 0, 0, 0
+            places, automata = dictionary.build_parts(synonyms, kind, part)
+            built, t = time.time() - t, time.time()
+            sent = spark.sparkContext.broadcast(places)
+            near = keep(dictionary.near_matches(docs, sent), "near")
+            sent.destroy()
+            for some in automata:
+                patterns, size = patterns + sum(a.patterns for a in some), size + sum(a.size for a in some)
+                sent = spark.sparkContext.broadcast([a.packed for a in some])
+                hits += dictionary.count_matches(near, sent)
+                sent.destroy()
+            matched = time.time() - t
             rows.append((kind, patterns, hits, built, matched, size))
     return spark.createDataFrame(rows, "kind string, patterns int, hits long, build_seconds double, match_seconds double, bytes long")
 

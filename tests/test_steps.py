@@ -1,5 +1,7 @@
 """Steps around the methods: stores, providers, mining, traces, plans."""
 
+import random
+
 import numpy as np
 import pytest
 from pyspark.sql import functions as F
@@ -7,7 +9,7 @@ from pyspark.sql import functions as F
 import __spark_entry__ as entry
 from kbspark import plans
 from kbspark.models import ReplayProvider, RuleProvider, definition_rule, store
-from kbspark.operators import curate, extract, facets, graph, lexical, profile, records, retrieve, synth
+from kbspark.operators import curate, dictionary, extract, facets, graph, lexical, profile, records, retrieve, synth
 from kbspark.sources import tables
 from kbspark.sources.tables import table
 from kbspark.workloads.experiments import dictionary_scale
@@ -268,3 +270,35 @@ def test_dictionary_scale_in_parts(spark, sf):
     whole = dictionary_scale(spark, sf, (2000,)).collect()
     parts = dictionary_scale(spark, sf, (2000,), part=150).collect()
     assert [(r["kind"], r["patterns"], r["hits"]) for r in parts] == [(r["kind"], r["patterns"], r["hits"]) for r in whole]
+
+
+def test_dictionary_parts_are_built_by_tasks(spark, sf, monkeypatch):
+    """The driver builds no automaton of several; patterns, hits and the trie's size but for its roots are those of one."""
+    whole = dictionary_scale(spark, sf, (500,)).collect()
+
+    def none(*_):
+        raise AssertionError("built on the driver")
+
+    monkeypatch.setattr(dictionary, "build", none)
+    parts = dictionary_scale(spark, sf, (500,), part=150).collect()
+    assert [(r["kind"], r["patterns"], r["hits"]) for r in parts] == [(r["kind"], r["patterns"], r["hits"]) for r in whole]
+    n = -(-whole[1]["patterns"] // 150)
+    assert n > 1
+    assert parts[1]["bytes"] - whole[1]["bytes"] == 64 * (n - 1)
+
+
+def test_numbered_tokens_have_all_matches(spark):
+    """Pieces near a match have as many matches as match finds in the texts: odd tokens, long and overlapping patterns."""
+    draw = random.Random(3)
+    words = ["ab", "Ab", "b", "c_d", "_x", "é", "ÉA", "zz"]
+    texts = [None, "", " ,. ", "ab", "c_d__ab _x", "ab" + " ab" * 30, *(draw.choice([" ", "-", "__"]).join(draw.choices(words, k=draw.randint(1, 40))) for _ in range(200))]
+    docs = spark.createDataFrame(list(enumerate(texts)), "id long, t string")
+    patterns = [" ".join(draw.choices(words, k=n)) for n in (1, 1, 2, 2, 2, 2, 3, 3, 3, 4, 9, 12)] + ["ab " * 12, "ab " * 9, "never", "", "c_d__ab"]
+    synonyms = spark.createDataFrame(list(enumerate(patterns)), "record_id long, synonym string")
+    numbered = dictionary.tokens(docs, "t")
+    for kind in ("double", "trie"):
+        want = dictionary.match(docs, "id", "t", dictionary.build(synonyms, kind)).count()
+        for part in (100, 4):
+            places, automata = dictionary.build_parts(synonyms, kind, part)
+            near = dictionary.near_matches(numbered, spark.sparkContext.broadcast(places))
+            assert sum(dictionary.count_matches(near, spark.sparkContext.broadcast([a.packed for a in some])) for some in automata) == want > 100
