@@ -9,7 +9,7 @@ from pyspark.sql import functions as F
 from kbspark.models import RuleProvider, definition_rule
 from kbspark.operators import curate, dictionary, extract, measure, records, retrieve
 from kbspark.registry import query
-from kbspark.session import keep
+from kbspark.session import keep, rest
 from kbspark.sources.tables import table
 from kbspark.workloads.index_queries import phrases, question_hits
 from kbspark.workloads.questions import QUESTIONS_SQL, RESULTS_SQL, questions, sampled_results
@@ -24,12 +24,14 @@ def dictionary_scale(spark, sf_dir, sizes=(100, 10_000, 50_000), kinds=("double"
     base = phrases(spark, sf_dir)
     filler = table(spark, sf_dir, "documents").select(F.explode(F.split(F.lower("text"), r"[^\p{L}]+")).alias("w")).where("length(w) > 3").distinct()
     filler = keep(filler, "filler").orderBy("w")
+    rest(spark)
     rows = []
     docs = keep(dictionary.tokens(table(spark, sf_dir, "documents"), "text"), "tokens")
     for n in sizes:
         # Numbered down in the order of the words, without gathering them.
         more = (filler if n is None else filler.limit(n)).select((-F.monotonically_increasing_id() - 1).alias("record_id"), F.concat("w", F.lit(" qqq")).alias("synonym"))
         synonyms = keep(base.union(more), "synonyms")
+        rest(spark)
         for kind in kinds:
             t, patterns, size, hits = time.time(), 0, 0, 0
             places, automata = dictionary.build_parts(synonyms, kind, part)
